@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from ratiobin.llm import revisits
 from ratiobin.llm.decontam import op9_winnowing
+from ratiobin.llm.edit_counts import op5_edit_counts
 from ratiobin.llm.language_model import op2_backoff_lm
 from ratiobin.llm.nn_descent import op1_nn_descent
 from ratiobin.llm.packing import op10_packing
@@ -18,6 +19,7 @@ QUERIES = {
     "op2_backoff_lm": op2_backoff_lm,
     "op3_toxicity": op3_toxicity,
     "op4_revisits": op4_revisits,
+    "op5_edit_counts": op5_edit_counts,
     "op6_resampling": op6_resampling,
     "op7_secrets": op7_secrets,
     "op8_simhash": op8_simhash,
