@@ -68,15 +68,16 @@ def build_blocks(indexed: DataFrame, block_bytes: int = 1 << 20, level: int = 6,
         n = int(at[-1]) + 1
         idx = np.full(n, (1 << bits) - 1, dtype=np.int64)
         idx[at] = block.column("idx").to_numpy()
-        values: list = [None] * n
-        for i, v in zip(at.tolist(), block.column("cur").to_pylist(), strict=True):
-            values[i] = v
-        exact = [values[i] for i in np.flatnonzero(idx == (1 << bits) - 1)]
+        place = np.full(n, len(at), dtype=np.int64)
+        place[at] = np.arange(len(at))
+        values = pa.concat_arrays([block.column("cur").combine_chunks(), pa.nulls(1, pa.float64())])
+        exact = values.take(pa.array(place[idx == (1 << bits) - 1]))
         raw = pack_bits(idx, bits)
         row = [block.column("var")[0].as_py(), block.column("step")[0].as_py(), block_id, block_id * width, n, zlib.compress(raw, level), len(raw), exact, len(exact)]
         kinds = [pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.list_(pa.float64()), pa.int64()]
         names = [c.split()[0] for c in BLOCKS_SCHEMA.split(", ")]
-        return pa.table([pa.array([v], k) for v, k in zip(row, kinds, strict=True)], names=names)
+        cells = [pa.array([v], k) if n != "exact" else pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), v) for v, k, n in zip(row, kinds, names, strict=True)]
+        return pa.table(cells, names=names)
 
     dealt = align(indexed, block_bytes, round_block).select(*STEP, "block_id", "pos", "idx", "cur", "bits")
     return dealt.groupBy(*STEP, "block_id").applyInArrow(run, BLOCKS_SCHEMA)

@@ -34,7 +34,7 @@ def to_chunks(df: DataFrame, size: int = CHUNK) -> DataFrame:
         values = np.full(int(at.max()) + 1, np.nan)
         null = np.ones(len(values), dtype=bool)
         values[at], null[at] = group.column("value").to_numpy(), group.column("value").is_null().to_numpy()
-        return pa.table([group.column("var")[:1], group.column("step")[:1], group.column("chunk_id")[:1], pa.array([pa.array(values, mask=null)], pa.list_(pa.float64()))], names=["var", "step", "chunk_id", "values"])
+        return pa.table([group.column("var")[:1], group.column("step")[:1], group.column("chunk_id")[:1], _lists([pa.array(values, mask=null)])], names=["var", "step", "chunk_id", "values"])
 
     placed = df.withColumn("chunk_id", F.floor(F.col("pos") / size))
     return placed.groupBy(*STEP, "chunk_id").applyInArrow(run, "var string, step int, chunk_id long, values array<double>")
@@ -45,6 +45,13 @@ def from_chunks(chunks: DataFrame, column: str = "values", name: str = "value",
     return flat.select(*STEP, (F.col("chunk_id") * size + F.col("_at")).alias("pos"), name)
 
 
+def _lists(parts: list) -> pa.ListArray:
+    """Arrays as one list column, without a Python object for each element."""
+    parts = [p if isinstance(p, pa.Array) else pa.array(p, pa.float64()) for p in parts]
+    offsets = np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.concat_arrays(parts) if parts else pa.array([], pa.float64()))
+
+
 def _array(column: pa.Array, i: int) -> np.ndarray:
     """A list element as doubles, NaN for null; an absent list is empty."""
     cell = column[i]
@@ -73,7 +80,7 @@ def change_ratios_chunked(chunks: DataFrame) -> DataFrame:
                 good = np.isfinite(ratio)
                 rows.append((pa.array(ratio, mask=~good), float(ratio[good].min()) if good.any() else None, float(ratio[good].max()) if good.any() else None))
             yield pa.RecordBatch.from_arrays(
-                [*(batch.column(i) for i in range(4)), pa.array([r[0] for r in rows], pa.list_(pa.float64())), pa.array([r[1] for r in rows], pa.float64()), pa.array([r[2] for r in rows], pa.float64())],
+                [*(batch.column(i) for i in range(4)), _lists([r[0] for r in rows]), pa.array([r[1] for r in rows], pa.float64()), pa.array([r[2] for r in rows], pa.float64())],
                 ["var", "step", "chunk_id", "cur", "ratio", "lo", "hi"],
             )
 
@@ -148,7 +155,7 @@ def compress_chunks(chunks: DataFrame, spec: CodecSpec = CodecSpec(), size: int
                 rows.append((batch.column(0)[i].as_py(), batch.column(1)[i].as_py(), chunk, chunk * size, len(r), zlib.compress(raw, level), len(raw), kept, len(kept)))
             kinds = [pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.list_(pa.float64()), pa.int64()]
             names = [c.split()[0] for c in BLOCKS_SCHEMA.split(", ")]
-            yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], k) for j, k in enumerate(kinds)], names)
+            yield pa.RecordBatch.from_arrays([_lists([r[j] for r in rows]) if names[j] == "exact" else pa.array([r[j] for r in rows], k) for j, k in enumerate(kinds)], names)
 
     header = bits.join(counts.drop("n"), STEP).withColumn("indices_per_block", F.lit(size)).withColumn("elem_bytes", F.lit(spec.elem_bytes)).withColumn("error_bound", F.lit(error_bound))
     used = centres.groupBy(*STEP).agg(F.count("*").cast("int").alias("n_centres"))

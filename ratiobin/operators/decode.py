@@ -26,18 +26,19 @@ def decode_blocks(blocks: DataFrame, header: DataFrame, centres: DataFrame) -> D
 
     def run(batches):
         for batch in batches:
-            for row in batch.to_pylist():
-                idx = unpack_bits(zlib.decompress(row["payload"]), row["bits"], row["n"])
-                kept = idx == (1 << row["bits"]) - 1
-                table = np.array(row["centres"] or [0.0])
+            column = {c: batch.column(i) for i, c in enumerate(batch.schema.names)}
+            for i in range(batch.num_rows):
+                n, bits = column["n"][i].as_py(), column["bits"][i].as_py()
+                idx = unpack_bits(zlib.decompress(column["payload"][i].as_buffer()), bits, n)
+                kept = idx == (1 << bits) - 1
+                table = column["centres"][i].values.to_numpy() if column["centres"][i].is_valid and len(column["centres"][i]) else np.zeros(1)
                 factor = table[np.where(kept, 0, np.minimum(idx, len(table) - 1))]
-                exact: list = [None] * row["n"]
-                for i, v in zip(np.flatnonzero(kept).tolist(), row["exact"], strict=True):
-                    exact[i] = v
+                place = np.where(kept, np.cumsum(kept) - 1, 0)
+                exact = column["exact"][i].values.take(pa.array(place, mask=~kept))
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array([row["var"]] * row["n"]), pa.array(np.full(row["n"], row["step"], dtype=np.int32)), pa.array(row["first_pos"] + np.arange(row["n"])),
-                        pa.array(factor), pa.array(exact, pa.float64()), pa.array(kept),
+                        pa.array([column["var"][i].as_py()] * n, pa.string()), pa.array(np.full(n, column["step"][i].as_py(), dtype=np.int32)), pa.array(column["first_pos"][i].as_py() + np.arange(n)),
+                        pa.array(factor), exact, pa.array(kept),
                     ],
                     ["var", "step", "pos", "factor", "exact", "is_exact"],
                 )
