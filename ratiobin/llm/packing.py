@@ -51,14 +51,12 @@ class TextEncoder:
     """
 
     def __init__(self, path: str):
-        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
-
-        self._tokenizer = Tokenizer.from_file(path)
-        self._tokenizer.encode_special_tokens = True
+        self._path, self._tokenizer = path, None
         self._ranks = self._rank_engine(path)
         if self._ranks is not None and any(self._slow(t) != self._fast(t) for t in PROBES):
             self._ranks = None
+        if self._ranks is not None:
+            self._tokenizer = None  # loaded again if it is asked for; one vocabulary in memory is enough
 
     @staticmethod
     def _rank_engine(path: str):
@@ -76,6 +74,12 @@ class TextEncoder:
             return None
 
     def _slow(self, text: str) -> bytes:
+        if self._tokenizer is None:
+            os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+            from tokenizers import Tokenizer
+
+            self._tokenizer = Tokenizer.from_file(self._path)
+            self._tokenizer.encode_special_tokens = True
         return np.array(self._tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def _fast(self, text: str) -> bytes:
