@@ -224,3 +224,11 @@ def size_of_bits(bits: int, n: int, elem_bytes: int, n_exact: int) -> float:
 def entropy_bits(counts: list[int]) -> float:
     total = sum(counts)
     return -sum(c / total * math.log2(c / total) for c in counts if c)
+
+
+def sampled(ratios: DataFrame, share: float, seed: int = 0) -> DataFrame:
+    """Ratios of a share of the positions, picked by a hash, so that an index length can be chosen from fewer points.
+
+    Only the length may come from a sample: centres and indices are always made of all points.
+    """
+    return ratios.where(F.pmod(F.xxhash64("pos", F.lit(seed)), F.lit(1_000_000)) < int(share * 1_000_000))

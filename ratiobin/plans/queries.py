@@ -26,6 +26,7 @@ from ratiobin.sources import ncfile, store
 from ratiobin.sources.series import BUILDERS, ELEM_BYTES, SERIES_SQL, load_series
 from ratiobin.sources.tables import load_table
 from ratiobin.spec import CodecSpec
+from ratiobin.streaming import frozen
 from ratiobin.streaming import steps as st
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -778,3 +779,34 @@ def m_decode_chunked(spark, sf):
     series = saved(load_series(spark, sf, "drift_field"), "series")
     c = ck.compress_chunks(ck.to_chunks(series, 8192), size=8192)
     return dc.decompress_chain(dc.decode_blocks(c.blocks, c.header, c.centres), series.where("step = 0"))
+
+
+@query("m_choose_bits_sampled")
+def m_choose_bits_sampled(spark, sf):
+    """Index lengths from a quarter of the points, beside those from all; sizes are scaled by the share."""
+    ratios = ratios_of(spark, sf, "drift_field")
+    full = cd.index_ratios(ratios, CodecSpec(error_bound=E)).bits.select(*STEP, F.col("bits").alias("bits_all"))
+    some = cd.index_ratios(saved(bn.sampled(ratios, 0.25), "sample"), CodecSpec(error_bound=E)).bits.select(*STEP, F.col("bits").alias("bits_sample"), F.col("n").alias("n_sample"))
+    return full.join(some, STEP)
+
+
+@query("s_daily_unique", f"SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, count(*) AS n, {CENTS} FROM events GROUP BY ALL")
+def s_daily_unique(spark, sf):
+    """Daily sums of a stream in which every event is sent twice."""
+    events = st.stream_events(spark, sf)
+    twice = st.deduplicated(events.unionAll(events))
+    days = twice.groupBy(F.date_trunc("day", "ts").alias("start"), "event_type").agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"))
+    return st.run_to_end(days, "unique").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "cents")
+
+
+@query("s_frozen_centres")
+def s_frozen_centres(spark, sf):
+    """Chunks coded as they arrive, with the centres of step 1: points, exact values and bytes of each step."""
+    series = saved(load_series(spark, sf, "drift_field"), "series")
+    centres = [r["centre"] for r in cd.index_ratios(saved(change_ratios(series).where("step = 1"), "ratios"), CodecSpec(error_bound=E)).centres.collect()]  # 65535 at most
+    source = new_path(spark, "stream-chunks")
+    chunks = ck.to_chunks(series, 8192)
+    chunks.write.parquet(source)
+    stream = spark.readStream.schema(chunks.schema).parquet(source)
+    coded = st.run_to_end(frozen.compress_frozen(stream, centres, E), "frozen", "append")
+    return coded.groupBy(*STEP).agg(F.sum("n").alias("n"), F.sum(F.size("exact")).alias("n_exact"), F.sum(F.octet_length("payload")).alias("index_bytes"))

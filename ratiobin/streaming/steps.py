@@ -115,3 +115,8 @@ def compress_stream(stream: DataFrame, path: str, spec: CodecSpec = CodecSpec(),
     query = stream.writeStream.foreachBatch(lambda b, i: target(prepare(b) if prepare else b, i)).option("checkpointLocation", new_path(spark, "state-codec")).trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.parquet(f"{path}/hat").select("var", F.col("step").cast("int").alias("step"), "pos", "value_hat")
+
+
+def deduplicated(events: DataFrame, watermark: str = "1 day") -> DataFrame:
+    """Each event once, however often its batch is sent again within the watermark."""
+    return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
