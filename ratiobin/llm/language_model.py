@@ -32,9 +32,11 @@ from ratiobin.llm import textgrid as tg
 from ratiobin.llm.common import crc_mod, saved, table
 
 HELD_OUT_MOD = 10
-#: Rows of a file that are scored together, and text bytes after which a part is closed earlier.
+#: Rows of a file that form at most one part, and text bytes after which a part is closed earlier.
 SLAB_ROWS = 4096
-PART_BYTES = 12 << 20
+PART_BYTES = 4 << 20
+#: Parts (24 bytes each) up to which their bounds are broadcast.
+BROADCAST_PARTS = 500_000
 #: Input bytes a shard of the automaton stands for.
 SHARD_BYTES = 4 << 20
 BASE_SMOOTHING = 0.1
@@ -193,7 +195,7 @@ REQUEST = "shard int, slab long, lo long, hi long, words binary, word_counts bin
 ANSWER = "shard int, slab long, lo long, hi long, word_counts binary, history_counts binary, fans binary, pair_counts binary, n_tokens long, n_words long, words_once long, words_twice long, pairs_once long, pairs_twice long"
 
 
-def parts(batches):
+def parts(batches, most: int):
     """Runs of consecutive rows of one slab, as (slab, lo, hi, batch)."""
     held, held_bytes = [], 0
 
@@ -207,8 +209,8 @@ def parts(batches):
         cuts = [0, *(np.flatnonzero(slab[1:] != slab[:-1]) + 1).tolist(), len(slab)]
         for a, b in zip(cuts, cuts[1:], strict=False):
             piece = batch.slice(a, b - a)
-            size = piece.get_total_buffer_size() * (b - a) // max(batch.num_rows, 1)
-            if held and (held[-1].column(held[-1].schema.get_field_index("slab"))[0].as_py() != slab[a] or held_bytes + size > PART_BYTES):
+            size = piece.nbytes
+            if held and (held[-1].column(held[-1].schema.get_field_index("slab"))[0].as_py() != slab[a] or held_bytes + size > most):
                 yield close()
                 held, held_bytes = [], 0
             held.append(piece)
@@ -217,11 +219,11 @@ def parts(batches):
         yield close()
 
 
-def ask(n_shards: int):
+def ask(n_shards: int, part_bytes: int = PART_BYTES):
     """mapInArrow: what each part of the corpus has and wants to know, by shard."""
 
     def run(batches):
-        for slab, lo, hi, batch in parts(batches):
+        for slab, lo, hi, batch in parts(batches, part_bytes):
             part = Part(batch.column(batch.schema.get_field_index("text")))
             train = ~batch.column(batch.schema.get_field_index("held_out")).to_numpy(zero_copy_only=False).astype(bool)
             word_counts, pair_counts = part.training_counts(train)
@@ -307,32 +309,29 @@ def numbered(docs: DataFrame) -> DataFrame:
     return placed.withColumn("slab", F.xxhash64("file_path", F.expr(f"row_index div {SLAB_ROWS}"))).drop("file_path")
 
 
-def lm_scores(docs: DataFrame) -> DataFrame:
+def lm_scores(docs: DataFrame, part_bytes: int = PART_BYTES) -> DataFrame:
     """(doc_id, text) rows of a file source to their scores under a model of the rows that are not held out."""
     rows = numbered(docs.select("doc_id", "text")).withColumn("held_out", F.coalesce(crc_mod("doc_id", HELD_OUT_MOD) == 0, F.lit(False)))
     size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     n_shards = int(min(max(size // SHARD_BYTES, 8), 1 << 20))
-    asked = rows.select("slab", "row_index", "held_out", "text").mapInArrow(ask(n_shards), REQUEST)
+    asked = rows.select("slab", "row_index", "held_out", "text").mapInArrow(ask(n_shards, part_bytes), REQUEST)
     answers = saved(asked.groupBy("shard").applyInArrow(add_up, ANSWER), "automaton")
     sums = answers.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("n_tokens", "n_words", "words_once", "words_twice", "pairs_once", "pairs_twice")]).first()
     totals = Totals(*sums)
 
     def run(texts: pa.Table, told: pa.Table) -> pa.Table:
         texts = texts.sort_by("row_index")
-        at = texts.column("row_index").to_numpy()
-        by_part: dict[tuple[int, int], list[dict]] = defaultdict(list)
-        for r in told.to_pylist():
-            by_part[r["lo"], r["hi"]].append(r)
-        out = []
-        for (lo, hi), rows_ in sorted(by_part.items()):
-            mine = texts.slice(int(np.searchsorted(at, lo)), int(np.searchsorted(at, hi, side="right")) - int(np.searchsorted(at, lo)))
-            found = walk(Part(mine.column("text")), rows_, totals)
-            out.append(pa.table([mine.column("doc_id"), pc.cast(mine.column("held_out"), pa.bool_()), *(pa.array(found[c]) for c in ("n_tokens", "n_known", "base_score", "score"))], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"]))
-        return pa.concat_tables(out)
-
-    left = rows.select("slab", "row_index", "doc_id", "held_out", "text").groupBy("slab")
-    right = answers.select("slab", "lo", "hi", "shard", "word_counts", "history_counts", "fans", "pair_counts").groupBy("slab")
-    scored = left.cogroup(right).applyInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+        found = walk(Part(texts.column("text")), told.to_pylist(), totals)
+        names = ["n_tokens", "n_known", "base_score", "score"]
+        return pa.table([texts.column("doc_id"), pc.cast(texts.column("held_out"), pa.bool_()), *(pa.array(found[c]) for c in names)], names=["doc_id", "held_out", *names])
+
+    # Rows meet the answers of their own part, so a task holds PART_BYTES of text (or one longer text), whatever the slab's.
+    bounds = answers.select(F.col("slab").alias("_slab"), F.col("lo").alias("_lo"), F.col("hi").alias("_hi")).distinct()
+    few = bounds.limit(BROADCAST_PARTS + 1).count() <= BROADCAST_PARTS
+    inside = (F.col("slab") == F.col("_slab")) & (F.col("row_index") >= F.col("_lo")) & (F.col("row_index") <= F.col("_hi"))
+    placed = rows.join(F.broadcast(bounds) if few else bounds, inside).select("slab", F.col("_lo").alias("lo"), "row_index", "doc_id", "held_out", "text")
+    right = answers.select("slab", "lo", "shard", "word_counts", "history_counts", "fans", "pair_counts").groupBy("slab", "lo")
+    scored = placed.groupBy("slab", "lo").cogroup(right).applyInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
     return scored.withColumn("train_tokens", F.lit(totals.tokens).cast("long"))
 
 

@@ -216,6 +216,12 @@ def test_language_model_equals_the_automaton(spark, tables, corpus):
         assert (r["n_tokens"], r["n_known"], r["train_tokens"], r["held_out"]) == (len(tokens), sum(w in machine.counts for w in tokens), n, held(r["doc_id"]))
 
 
+def test_parts_of_any_size_give_the_same_scores(spark, tables):
+    docs = spark.read.parquet(f"{tables}/documents.parquet")
+    few, many = (sorted((r["doc_id"] or -1, round(r["base_score"], 6), round(r["score"], 6)) for r in language_model.lm_scores(docs, n).collect()) for n in (1 << 30, 2000))
+    assert few == many
+
+
 @pytest.mark.parametrize("order", [1, 2, 3])
 def test_automaton_probabilities_add_up_to_one(order):
     machine = language_model.BackoffAutomaton([list("abcab"), list("abd"), list("ba")], order)
