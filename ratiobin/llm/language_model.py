@@ -34,7 +34,7 @@ from ratiobin.llm.common import crc_mod, saved, table
 HELD_OUT_MOD = 10
 #: Rows of a file that form at most one part, and text bytes after which a part is closed earlier.
 SLAB_ROWS = 4096
-PART_BYTES = 4 << 20
+PART_BYTES = 2 << 20
 #: Parts (24 bytes each) up to which their bounds are broadcast.
 BROADCAST_PARTS = 500_000
 #: Input bytes a shard of the automaton stands for.
