@@ -331,3 +331,43 @@ def test_nn_descent(spark, vectors, tmp_path):
     assert 0.98 * true <= found <= true and {r["vec_id"]: r["n_links"] for r in rows}[906] == 1
     assert all(r["n_links"] == 0 and r["component_id"] == r["vec_id"] for r in rows if 900 <= r["vec_id"] <= 905)
     assert all(r["kept"] == (r["vec_id"] == r["component_id"]) for r in rows) and len(rows) == len(vectors)
+
+
+def around(rng, centre, n, spread):
+    """Unit vectors close to a centre."""
+    x = centre + spread * rng.normal(size=(n, len(centre)))
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
+def brute(x):
+    return (x @ x.T >= 0.9).sum(1) - 1
+
+
+def near_rows(spark, x):
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    return {r["vec_id"]: r for r in nn_descent.near_vectors(rows).collect()}
+
+
+def test_nn_descent_links_two_dense_groups(spark):
+    rng = np.random.default_rng(8)
+    a, b = np.linalg.qr(rng.normal(size=(64, 2)))[0].T
+    x = np.concatenate((around(rng, a, 40, 0.005), around(rng, 0.94 * a + math.sqrt(1 - 0.94**2) * b, 40, 0.005), around(rng, -a, 5, 0.005)))
+    got = near_rows(spark, x)
+    assert brute(x)[0] == 79 and [got[i]["n_links"] for i in range(len(x))] == brute(x).tolist()
+    assert {got[i]["component_id"] for i in range(80)} == {0} and {got[i]["component_id"] for i in range(80, 85)} == {80}
+
+
+def test_cross_links_in_small_blocks_equal_brute_force(spark):
+    rng = np.random.default_rng(9)
+    centres = around(rng, np.ones(16), 12, 0.5)
+    x = np.concatenate([around(rng, c, 20, 0.05) for c in centres])
+    component, weight = np.arange(len(x)) // 10, np.arange(len(x)) % 3 + 1
+    rows = spark.createDataFrame([(i, int(c), int(w), v.tobytes()) for i, (c, w, v) in enumerate(zip(component, weight, x, strict=True))], "node long, component long, weight long, unit binary")
+    linked = (x @ x.T >= 0.9) & (component[:, None] != component)
+    degrees, joins = nn_descent.cross_links(rows, 0.9, rows=32)
+    want = {i: (int(d), int(o)) for i, (d, o) in enumerate(zip(linked @ weight, linked.sum(1), strict=True)) if o}
+    assert {r["node"]: (r["degree"], r["others"]) for r in degrees.collect()} == want
+    pairs = {(int(component[i]), int(component[j])) for i, j in zip(*np.nonzero(linked), strict=True)}
+    got = {(r["src"], r["dst"]) for r in joins.collect()}
+    whole = spark.createDataFrame(sorted(pairs), "src long, dst long")
+    assert got <= pairs and sorted(connected_components(joins).collect()) == sorted(connected_components(whole).collect())
