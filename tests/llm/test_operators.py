@@ -371,3 +371,11 @@ def test_cross_links_in_small_blocks_equal_brute_force(spark):
     got = {(r["src"], r["dst"]) for r in joins.collect()}
     whole = spark.createDataFrame(sorted(pairs), "src long, dst long")
     assert got <= pairs and sorted(connected_components(joins).collect()) == sorted(connected_components(whole).collect())
+
+
+def test_cells_part_vectors_with_a_common_direction(spark):
+    rng = np.random.default_rng(10)
+    x = around(rng, np.full(64, 0.5), 6000, 0.2)
+    nodes = spark.createDataFrame([(i, nn_descent.code(v)) for i, v in enumerate(x)], "node long, code binary")
+    rows = nn_descent.cells(nodes, len(x), 0, nn_descent.cell_sample(nodes, len(x))).groupBy("cell").count().collect()
+    assert sum(r["count"] for r in rows) == len(x) and max(r["count"] for r in rows) <= 4 * nn_descent.CELL
