@@ -379,3 +379,18 @@ def test_cells_part_vectors_with_a_common_direction(spark):
     nodes = spark.createDataFrame([(i, nn_descent.code(v)) for i, v in enumerate(x)], "node long, code binary")
     rows = nn_descent.cells(nodes, len(x), 0, nn_descent.cell_sample(nodes, len(x))).groupBy("cell").count().collect()
     assert sum(r["count"] for r in rows) == len(x) and max(r["count"] for r in rows) <= 4 * nn_descent.CELL
+
+
+def test_audit_counts_vectors_alike_and_grows(spark):
+    truth = {0: 5000} | {i: 1 for i in range(1, 50)}
+    assert nn_descent.audited_recall(truth, {0: 5000}) == 0.0 and nn_descent.audited_recall(truth, truth) == 1.0 and nn_descent.audited_recall({}, {}) is None
+    rng = np.random.default_rng(11)
+    x = around(rng, np.zeros(64), 1000, 1.0)
+    x[1::25] = around(rng, np.zeros(64), 40, 1.0) * 0.2 + x[::25]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    nodes = spark.createDataFrame([(i, v.tobytes()) for i, v in enumerate(x)], "node long, unit binary")
+    assert nn_descent.audited_links(nodes, len(x), 0.9) == {i: n for i, n in enumerate(brute(x).tolist()) if n}
+
+
+def test_audit_recall_is_unknown_without_links(spark):
+    assert {r["audit_recall"] for r in near_rows(spark, np.eye(8)).values()} == {None}
