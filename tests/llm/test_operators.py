@@ -394,3 +394,18 @@ def test_audit_counts_vectors_alike_and_grows(spark):
 
 def test_audit_recall_is_unknown_without_links(spark):
     assert {r["audit_recall"] for r in near_rows(spark, np.eye(8)).values()} == {None}
+
+
+def test_nn_descent_finds_isolated_pairs_in_many_cells(spark, monkeypatch):
+    monkeypatch.setattr(nn_descent, "CELL", 4)
+    monkeypatch.setattr(nn_descent, "CROSS_ROWS", 300)
+    rng = np.random.default_rng(12)
+    x = around(rng, np.zeros(64), 2000, 1.0)
+    side = around(rng, np.zeros(64), 400, 1.0)
+    side -= (side * x[:400]).sum(1, keepdims=True) * x[:400]
+    side /= np.linalg.norm(side, axis=1, keepdims=True)
+    cos = rng.uniform(0.9001, 0.93, size=(400, 1))
+    x[400:800] = cos * x[:400] + np.sqrt(1 - cos**2) * side
+    got = near_rows(spark, x)
+    assert [got[i]["n_links"] for i in range(len(x))] == brute(x).tolist() and got[0]["audit_recall"] == 1.0
+    assert all(got[400 + i]["component_id"] == i for i in range(400))
