@@ -623,6 +623,12 @@ def o_densify(spark, sf):
     return rl.slice_series(load_series(spark, sf, "user_activity"), stop=100).select("step", "pos", "value")
 
 
+@query("o_densify_all", f"SELECT step, pos, value FROM ({SERIES_SQL['user_activity']})")
+def o_densify_all(spark, sf):
+    """Like o_densify, over all points."""
+    return load_series(spark, sf, "user_activity").select("step", "pos", "value")
+
+
 @query("o_as_of_steps", """WITH d AS (SELECT user_id, CAST(ts AS DATE) AS day, max_by(value, (ts, event_id)) AS value FROM events GROUP BY ALL), g AS (SELECT user_id, day FROM (SELECT DISTINCT user_id FROM d), (SELECT DISTINCT day FROM d))
   SELECT g.user_id AS pos, g.day AS step, d.value FROM g ASOF LEFT JOIN d ON g.user_id = d.user_id AND g.day >= d.day""")
 def o_as_of_steps(spark, sf):

@@ -44,3 +44,8 @@ def test_entry(spark):
 
 def test_queries_need_no_llm_subpackage():
     assert set(entry.core.QUERIES) <= set(entry.queries()) and not any(n.startswith("op") for n in entry.core.QUERIES)
+
+
+def test_densify_all_returns_every_point(spark):
+    rows = entry.queries()["o_densify_all"](spark, "/root/testdata/sf0.01").collect()
+    assert len({r["pos"] for r in rows}) == 750 and len(rows) == 30 * 750
