@@ -32,7 +32,7 @@ _encoders: dict = {}
 
 #: Fixed value: the published pattern of byte-level pre-tokens.
 PRE_TOKENS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-PROBES = ("It's 12 o'clock,  isn't it?\n\n\tNaïve señor – 東京 123abc\u00a0 x  ", " ", "\n \n", "a\u2003\u2003b 'S 'll 9９ ½ e\u0301 🙂🙂")
+PROBES = ("It's 12 o'clock,  isn't it?\n\n\tNaïve señor – 東京 123abc\u00a0 x  ", " ", "\n \n", "a\u2003\u2003b 'S 'll 9９ ½ e\u0301 🙂🙂", "a <|endoftext|> b  <|endoftext|>\n<|endoftext|")
 
 
 def byte_letters() -> dict[str, int]:
@@ -66,10 +66,12 @@ class TextEncoder:
             spec = json.load(f)
         if spec["model"].get("type") != "BPE" or (spec.get("pre_tokenizer") or {}).get("type") != "ByteLevel" or spec.get("normalizer"):
             return None
-        letters, added = byte_letters(), {t["content"] for t in spec.get("added_tokens", [])}
+        if any(t.get(flag) for t in spec.get("added_tokens", []) for flag in ("single_word", "lstrip", "rstrip", "normalized")):
+            return None
+        letters, added = byte_letters(), {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         try:
             ranks = {bytes(letters[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in added}
-            return tiktoken.Encoding("file", pat_str=PRE_TOKENS, mergeable_ranks=ranks, special_tokens={})
+            return tiktoken.Encoding("file", pat_str=PRE_TOKENS, mergeable_ranks=ranks, special_tokens=added)
         except (KeyError, ValueError):
             return None
 
@@ -79,11 +81,10 @@ class TextEncoder:
             from tokenizers import Tokenizer
 
             self._tokenizer = Tokenizer.from_file(self._path)
-            self._tokenizer.encode_special_tokens = True
         return np.array(self._tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def _fast(self, text: str) -> bytes:
-        return self._ranks.encode_to_numpy(text, disallowed_special=()).astype("<u4", copy=False).tobytes()
+        return self._ranks.encode_to_numpy(text, allowed_special="all").astype("<u4", copy=False).tobytes()
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         one = self._slow if self._ranks is None else self._fast

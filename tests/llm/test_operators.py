@@ -409,3 +409,16 @@ def test_nn_descent_finds_isolated_pairs_in_many_cells(spark, monkeypatch):
     got = near_rows(spark, x)
     assert [got[i]["n_links"] for i in range(len(x))] == brute(x).tolist() and got[0]["audit_recall"] == 1.0
     assert all(got[400 + i]["component_id"] == i for i in range(400))
+
+
+def test_added_tokens_get_their_own_id():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    plain, encode = Tokenizer.from_file(public_tokenizers.path(packing.TOKENIZER)), packing.encoder()
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "x  <|endoftext|>\n\n<|endoftext|>y <|endoftext|", "İ<|endoftext|>東京 <|ENDOFTEXT|>"]
+    want = [plain.encode(t, add_special_tokens=False).ids for t in texts]
+    assert encode._ranks is not None and [np.frombuffer(e, dtype="<u4").tolist() for e in encode.encode(texts)] == want and want[0] == [64, 220, 50256, 275]
+    tree = edit_counts.TokenTree("w <|endoftext b c", edit_counts.ChunkCounter(encode))
+    tree.edit(13, 0, "|>")
+    assert tree.text() == "w <|endoftext|> b c" and tree.n_tokens == len(plain.encode(tree.text(), add_special_tokens=False).ids)
