@@ -174,8 +174,8 @@ def m_choose_bits_entropy(spark, sf):
 
 @query("m_choose_bits_measured")
 def m_choose_bits_measured(spark, sf):
-    ratios = ratios_of(spark, sf, "part_volume", LATE["part_volume"])
-    return cd.index_ratios(ratios, CodecSpec(error_bound=E, objective="measured", candidates=tuple(range(5, 11)))).bits.select(*STEP, "bits", "n", "n_exact")
+    ratios = ratios_of(spark, sf, "part_volume")
+    return cd.index_ratios(ratios, CodecSpec(error_bound=E, objective="measured")).bits.select(*STEP, "bits", "n", "n_exact")
 
 
 # --- methods: other strategies
@@ -229,12 +229,12 @@ def m_log_scale(spark, sf):
 
 @query("m_log_scale_centres")
 def m_log_scale_centres(spark, sf):
-    return bn.log_scale_bins(ratios_of(spark, sf, "part_volume", LATE["part_volume"]), 63)
+    return bn.log_scale_bins(ratios_of(spark, sf, "part_volume"), 63)
 
 
 @query("m_kmeans")
 def m_kmeans(spark, sf):
-    return bn.kmeans_bins(ratios_of(spark, sf, "supplier_month", (10, 20)), 15, error_bound=E)
+    return bn.kmeans_bins(ratios_of(spark, sf, "supplier_month"), 15, error_bound=E)
 
 
 @query("m_kmeans_one_round", ctes("supplier_month", steps="step IN (19, 20)") + f""", x AS (SELECT floor(ratio / {double(2 * E / 16)}) AS cell, avg(ratio) AS x, count(*) AS w FROM r WHERE ratio IS NOT NULL GROUP BY ALL),
@@ -378,7 +378,7 @@ def b_lossless(spark, sf):
 @query("b_strategies_fixed")
 def b_strategies_fixed(spark, sf):
     """Stored sizes of all five strategies at one index length."""
-    ratios = ratios_of(spark, sf, "part_volume", LATE["part_volume"])
+    ratios = ratios_of(spark, sf, "part_volume")
     out = []
     for s in ("topk", "equal", "log", "kmeans", "optimal"):
         indexed = cd.index_ratios(ratios, CodecSpec(error_bound=E, bits=6, strategy=s))

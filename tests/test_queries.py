@@ -49,3 +49,9 @@ def test_queries_need_no_llm_subpackage():
 def test_densify_all_returns_every_point(spark):
     rows = entry.queries()["o_densify_all"](spark, "/root/testdata/sf0.01").collect()
     assert len({r["pos"] for r in rows}) == 750 and len(rows) == 30 * 750
+
+
+@pytest.mark.parametrize("name, series", [("m_choose_bits_measured", "part_volume"), ("m_log_scale_centres", "part_volume"), ("m_kmeans", "supplier_month"), ("b_strategies_fixed", "part_volume")])
+def test_method_queries_take_every_step(spark, name, series):
+    steps = {r["step"] for r in entry.core.change_ratios(entry.load_series(spark, SF, series)).where("ratio IS NOT NULL AND ratio <> 0").select("step").distinct().collect()}
+    assert len(steps) > 2 and steps <= {r["step"] for r in entry.queries()[name](spark, SF).collect()}
