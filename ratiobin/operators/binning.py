@@ -15,21 +15,25 @@ from pyspark.sql import functions as F
 
 from ratiobin.functions.columns import bin_centre, estimated_size, grid_bin, zero_bin, zero_centre
 from ratiobin.operators.ratios import ratio_range
-from ratiobin.session import saved, small_side
+from ratiobin.session import saved, small_side, stored_bytes
 
 STEP = ["var", "step"]
 MOST_BINS = (1 << 16) - 1
-#: First ranking of a step's bins goes by this many parts, so no task sorts all occupied bins of a step.
-RANK_PARTS = 64
+#: Occupied bins of a step that one task ranks; steps with more are cut to their fullest bins before.
+RANK_BINS = 1 << 20
+#: Neighbouring bins of equal count that are kept or left together by that cut.
+SLAB = 1 << 16
+#: Cells of a step's fine histogram for k-means, at most.
+MOST_CELLS = 1 << 22
 
 
-def with_bins(ratios: DataFrame, error_bound: float, anchor: str = "min", *more: str) -> DataFrame:
-    """ratios plus lo and bin; undefined ratios have no bin."""
+def with_bins(ratios: DataFrame, error_bound: float, anchor: str = "min", *more: str, ranges: DataFrame | None = None) -> DataFrame:
+    """ratios plus lo and bin; undefined ratios have no bin.  ranges: a small side with ratio_range(), if it is at hand."""
     if anchor == "zero":
         return ratios.withColumn("lo", F.lit(None).cast("double")).withColumn("bin", zero_bin(F.col("ratio"), error_bound))
     keys = [*STEP, *more]
-    lo = small_side(ratio_range(ratios, *more).select(*keys, "lo"))
-    return ratios.join(lo, keys, "left").withColumn("bin", grid_bin(F.col("ratio"), F.col("lo"), error_bound))
+    ranges = small_side(ratio_range(ratios, *more)) if ranges is None else ranges
+    return ratios.join(ranges.select(*keys, "lo"), keys, "left").withColumn("bin", grid_bin(F.col("ratio"), F.col("lo"), error_bound))
 
 
 def centre_of(error_bound: float, anchor: str) -> Column:
@@ -41,13 +45,30 @@ def ratio_histogram(binned: DataFrame, *more: str) -> DataFrame:
     return binned.where("bin IS NOT NULL").groupBy(*STEP, *more, "bin").agg(F.count("*").alias("cnt"), F.first("lo").alias("lo"))
 
 
-def rank_bins(hist: DataFrame, most: int = MOST_BINS, *more: str) -> DataFrame:
+def _fullest(hist: DataFrame, most: int, keys: list[str]) -> DataFrame:
+    """A superset of the `most` fullest bins of each step (ties: lower bin first), of less than `most` + SLAB bins.
+
+    The bins with one count are counted first, which gives the count of the last bin that has a place; of the bins with that
+    very count, slabs of neighbouring bins are counted and kept from the lowest until the places are taken.  Only counts
+    meet in one task.
+    """
+    down = Window.partitionBy(*keys).orderBy(F.desc("cnt")).rowsBetween(Window.unboundedPreceding, -1)
+    by_count = hist.groupBy(*keys, "cnt").agg(F.count("*").alias("_bins")).withColumn("_above", F.coalesce(F.sum("_bins").over(down), F.lit(0)))
+    last = small_side(by_count.where(F.col("_above") < most).groupBy(*keys).agg(F.min("cnt").alias("_least"), F.max("_above").alias("_above")))
+    told = hist.join(last, keys)
+    tied = told.where("cnt = _least").withColumn("_slab", F.floor(F.col("bin") / SLAB))
+    up = Window.partitionBy(*keys).orderBy("_slab").rowsBetween(Window.unboundedPreceding, -1)
+    slabs = tied.groupBy(*keys, "_slab").agg(F.count("*").alias("_n"), F.first("_above").alias("_above")).withColumn("_before", F.col("_above") + F.coalesce(F.sum("_n").over(up), F.lit(0)))
+    some = small_side(slabs.where(F.col("_before") < most).select(*keys, "_slab"))
+    return told.where("cnt > _least").select(*hist.columns).unionByName(tied.join(some, [*keys, "_slab"], "left_semi").select(*hist.columns))
+
+
+def rank_bins(hist: DataFrame, most: int = MOST_BINS, *more: str, rank_bins: int = RANK_BINS) -> DataFrame:
     """Bins of each step from the fullest (ties: lower bin first) with rank 1.., cut at `most`."""
     keys = [*STEP, *more]
-    order = [F.desc("cnt"), F.asc("bin")]
-    local = F.row_number().over(Window.partitionBy(*keys, F.pmod("bin", F.lit(RANK_PARTS))).orderBy(*order))
-    cut = hist.withColumn("_local", local).where(F.col("_local") <= most).drop("_local")
-    return cut.withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(*order))).where(F.col("rank") <= most)
+    hist = saved(hist, "histogram", plain=True)
+    cut = hist if stored_bytes(hist) <= 16 * rank_bins else _fullest(hist, most, keys)  # bin and count alone take 16 bytes a row
+    return cut.withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("cnt"), F.asc("bin")))).where(F.col("rank") <= most)
 
 
 def top_k_bins(hist: DataFrame, k: int, error_bound: float, anchor: str = "min", *more: str) -> DataFrame:
@@ -160,10 +181,14 @@ def lloyd(values: np.ndarray, weights: np.ndarray, k: int, rounds: int, init: st
 def kmeans_bins(ratios: DataFrame, k: int, max_iter: int = 20, init: str = "quantile", error_bound: float = 0.001, cells: int = 16) -> DataFrame:
     """k-means centres of each step, by weighted rounds over a fine histogram (cells of 2E / `cells`, mean and count each).
 
-    Points are summed into the histogram in Spark; a step's occupied cells then meet in one task.
+    Points are summed into the histogram in Spark; a step's occupied cells then meet in one task.  Where the range has more
+    than MOST_CELLS such cells, they are widened to that many, so the task is bounded; a cell that a border between two
+    centres cuts then goes whole to the centre nearer its mean.
     """
     fine = 2 * error_bound / cells
-    hist = ratios.where("ratio IS NOT NULL").groupBy(*STEP, F.floor(F.col("ratio") / fine).alias("cell")).agg(F.avg("ratio").alias("x"), F.count("*").alias("w"))
+    wide = small_side(ratio_range(ratios).select(*STEP, F.greatest(F.lit(fine), (F.col("hi") - F.col("lo")) / F.lit(MOST_CELLS)).alias("_fine")))
+    defined = ratios.where("ratio IS NOT NULL").select(*STEP, "ratio").join(wide, STEP)
+    hist = defined.groupBy(*STEP, F.floor(F.col("ratio") / F.col("_fine")).alias("cell")).agg(F.avg("ratio").alias("x"), F.count("*").alias("w"))
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values("x")

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from ratiobin.functions.bits import pack_bits
 from ratiobin.operators import binning as bn
 from ratiobin.operators.blocks import BLOCKS_SCHEMA
-from ratiobin.session import saved, small_side
+from ratiobin.session import BROADCAST_BYTES, join_spread, saved, small_side
 from ratiobin.spec import CodecSpec
 
 STEP = ["var", "step"]
@@ -121,8 +121,11 @@ class ChunkCompressed:
     blocks: DataFrame
 
 
-def compress_chunks(chunks: DataFrame, spec: CodecSpec = CodecSpec(), size: int = CHUNK) -> ChunkCompressed:
-    """All steps of a chunked series: ratios, histogram, index lengths, packed blocks of one chunk each."""
+def compress_chunks(chunks: DataFrame, spec: CodecSpec = CodecSpec(), size: int = CHUNK, most: int = BROADCAST_BYTES) -> ChunkCompressed:
+    """All steps of a chunked series: ratios, histogram, index lengths, packed blocks of one chunk each.
+
+    The bins of all steps are broadcast up to `most` bytes; beyond, the chunks of a step are spread over tasks.
+    """
     ratios = saved(change_ratios_chunked(chunks), "ratio-chunks")
     counts = ratios.groupBy(*STEP).agg(F.sum(F.size("cur")).alias("n"), F.count("*").cast("int").alias("n_blocks"))
     ranked = saved(bn.rank_bins(histogram_chunked(ratios, spec.error_bound), (1 << (spec.bits or max(spec.candidates))) - 1), "ranked")
@@ -132,7 +135,7 @@ def compress_chunks(chunks: DataFrame, spec: CodecSpec = CodecSpec(), size: int
     centres = saved(top.select(*STEP, (F.col("rank") - 1).cast("int").alias("idx"), "bin", bn.centre_of(spec.error_bound, "min").alias("centre"), "cnt", "lo"), "centres")
     lists = centres.groupBy(*STEP).agg(F.first("lo").alias("step_lo"), F.array_sort(F.collect_list(F.struct("bin", "idx"))).alias("_bins"))
     keyed = bits.select(*STEP, "bits").join(lists, STEP, "left").select(*STEP, "bits", "step_lo", F.col("_bins.bin").alias("bins"), F.col("_bins.idx").alias("idx"))
-    told = ratios.select(*STEP, "chunk_id", "cur", "ratio").join(small_side(keyed, 4096), STEP)
+    told = join_spread(ratios.select(*STEP, "chunk_id", "cur", "ratio"), keyed, STEP, "chunk_id", "inner", most)
     error_bound, level = spec.error_bound, spec.level
 
     def run(batches):

@@ -8,21 +8,22 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from ratiobin.functions.bits import unpack_bits
-from ratiobin.session import small_side
+from ratiobin.session import BROADCAST_BYTES, join_spread
 
 STEP = ["var", "step"]
+#: Positions whose steps are decoded together in one task.
+CHAIN = 8192
 
 
-def decode_blocks(blocks: DataFrame, header: DataFrame, centres: DataFrame) -> DataFrame:
+def decode_blocks(blocks: DataFrame, header: DataFrame, centres: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
     """Blocks to points (var, step, pos, factor, exact, is_exact): the centre to scale by, or the exact value.
 
-    Centres reach a block as one array of its step, so the lookup is an array index in the task that unpacks the block.
+    Centres reach a block as one array of its step, so the lookup is an array index in the task that unpacks the block.  The
+    arrays are broadcast up to `most` bytes; beyond, the blocks of a step are spread over tasks.
     """
-    lists = centres.groupBy(*STEP).agg(F.transform(F.array_sort(F.collect_list(F.struct("idx", "centre"))), lambda c: c["centre"]).alias("centres"))
-    told = blocks.select(*STEP, "first_pos", "n", "payload", "exact").join(small_side(header.select(*STEP, "bits")), STEP).join(lists, STEP, "left")
+    told = join_spread(blocks.select(*STEP, "block_id", "first_pos", "n", "payload", "exact"), centre_arrays(header, centres), STEP, "block_id", "inner", most)
 
     def run(batches):
         for batch in batches:
@@ -31,14 +32,14 @@ def decode_blocks(blocks: DataFrame, header: DataFrame, centres: DataFrame) -> D
                 n, bits = column["n"][i].as_py(), column["bits"][i].as_py()
                 idx = unpack_bits(zlib.decompress(column["payload"][i].as_buffer()), bits, n)
                 kept = idx == (1 << bits) - 1
-                table = column["centres"][i].values.to_numpy() if column["centres"][i].is_valid and len(column["centres"][i]) else np.zeros(1)
+                table = column["centres"][i].values.to_numpy().astype(np.float64) if column["centres"][i].is_valid and len(column["centres"][i]) else np.zeros(1)
                 factor = table[np.where(kept, 0, np.minimum(idx, len(table) - 1))]
                 place = np.where(kept, np.cumsum(kept) - 1, 0)
                 exact = column["exact"][i].values.take(pa.array(place, mask=~kept))
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array([column["var"][i].as_py()] * n, pa.string()), pa.array(np.full(n, column["step"][i].as_py(), dtype=np.int32)), pa.array(column["first_pos"][i].as_py() + np.arange(n)),
-                        pa.array(factor), exact, pa.array(kept),
+                        pa.repeat(pa.scalar(column["var"][i].as_py(), pa.string()), n), pa.array(np.full(n, column["step"][i].as_py(), dtype=np.int32)), pa.array(column["first_pos"][i].as_py() + np.arange(n)),
+                        pa.array(factor), exact.cast(pa.float64()), pa.array(kept),
                     ],
                     ["var", "step", "pos", "factor", "exact", "is_exact"],
                 )
@@ -46,6 +47,22 @@ def decode_blocks(blocks: DataFrame, header: DataFrame, centres: DataFrame) -> D
     return told.mapInArrow(run, "var string, step int, pos long, factor double, exact double, is_exact boolean")
 
 
+def centre_arrays(header: DataFrame, centres: DataFrame) -> DataFrame:
+    """(var, step, bits, centres): one array a step, in order of the index."""
+    lists = centres.groupBy(*STEP).agg(F.transform(F.array_sort(F.collect_list(F.struct("idx", "centre"))), lambda c: c["centre"]).alias("centres"))
+    if "centres_step" not in header.columns:
+        return header.select(*STEP, "bits").join(lists, STEP, "left")
+    return header.select(*STEP, "bits", "centres_step").join(lists.withColumnRenamed("step", "centres_step"), ["var", "centres_step"], "left").drop("centres_step")
+
+
+def centre_map(header: DataFrame, centres: DataFrame) -> DataFrame:
+    """(var, step, attributes, centres): a step's header as a map of texts, and its centres as a map from index to centre."""
+    names = [c for c in header.columns if c not in STEP]
+    attributes = F.map_from_arrays(F.array(*map(F.lit, names)), F.array(*[F.col(c).cast("string") for c in names]))
+    maps = centres.groupBy(*STEP).agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("idx", "centre")))).alias("centres"))
+    return header.select(*STEP, attributes.alias("attributes")).join(maps, STEP, "left")
+
+
 def reconstruct(prev_hat: Column, factor: Column, exact: Column, is_exact: Column) -> Column:
     return F.when(is_exact, exact).otherwise(prev_hat * (1 + factor))
 
@@ -57,24 +74,37 @@ def decompress_step(points: DataFrame, prev_hat: DataFrame) -> DataFrame:
     return out.select(*STEP, "pos", "value_hat")
 
 
+def chain_of(group: pa.Table) -> pa.Table:
+    """Decoded rows of one run of positions to their values, step after step over the whole run at once."""
+    group = group.sort_by("step")
+    step, pos = group.column("step").to_numpy(), group.column("pos").to_numpy()
+    kept, factor = group.column("is_exact").to_numpy().astype(bool), group.column("factor").to_numpy()
+    exact = group.column("exact").combine_chunks()
+    null = exact.is_null().to_numpy(zero_copy_only=False)
+    value = exact.fill_null(0.0).to_numpy()
+    at = pos - pos.min()
+    now, gone = np.zeros(int(at.max()) + 1), np.ones(int(at.max()) + 1, dtype=bool)
+    out, lost = np.empty(len(at)), np.empty(len(at), dtype=bool)
+    edges = [0, *(np.flatnonzero(np.diff(step)) + 1).tolist(), len(step)]
+    for a, b in zip(edges, edges[1:], strict=False):
+        here = at[a:b]
+        with np.errstate(all="ignore"):
+            now[here] = np.where(kept[a:b], value[a:b], now[here] * (1 + factor[a:b]))
+        gone[here] = np.where(kept[a:b], null[a:b], gone[here])
+        out[a:b], lost[a:b] = now[here], gone[here]
+    return pa.table([group.column("var"), group.column("step"), group.column("pos"), pa.array(out, mask=lost)], names=["var", "step", "pos", "value_hat"])
+
+
 def decompress_chain(points: DataFrame, anchors: DataFrame) -> DataFrame:
-    """All steps at once: one shuffle by position, then a running product that restarts at each exact value.
+    """All steps at once: one shuffle by runs of CHAIN positions, then a product that restarts at each exact value.
 
-    anchors: (var, step, pos, value) stored as they are.
+    anchors: (var, step, pos, value) stored as they are.  A task holds one run at a time, all steps of it.
     """
     rows = points.select(*STEP, "pos", "factor", "exact", "is_exact").unionByName(
         anchors.select(*STEP, "pos", F.lit(0.0).alias("factor"), F.col("value").alias("exact"), F.lit(True).alias("is_exact"))
     )
-    steps = F.array_sort(F.collect_list(F.struct("step", "factor", "exact", "is_exact")))
-    start = F.array().cast(T.ArrayType(T.StructType([T.StructField("step", T.IntegerType()), T.StructField("value_hat", T.DoubleType())])))
-    grown = F.aggregate(
-        steps, start,
-        lambda done, s: F.concat(done, F.array(F.struct(
-            s["step"].alias("step"),
-            F.when(s["is_exact"], s["exact"]).otherwise(F.try_element_at(done, F.lit(-1))["value_hat"] * (1 + s["factor"])).alias("value_hat"),
-        ))),
-    )
-    return rows.groupBy("var", "pos").agg(grown.alias("r")).select("var", "pos", F.explode("r").alias("r")).select("var", "r.step", "pos", "r.value_hat")
+    runs = rows.withColumn("_run", F.floor(F.col("pos") / CHAIN))
+    return runs.groupBy("var", "_run").applyInArrow(chain_of, "var string, step int, pos long, value_hat double")
 
 
 def block_range(start: int, stop: int, width: int) -> tuple[int, int]:

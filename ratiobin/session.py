@@ -1,4 +1,4 @@
-"""Session helpers: shared folder, materialised steps, and size-checked broadcasts."""
+"""Session helpers: shared folder, materialised steps, and joins with sides of a checked size."""
 
 from __future__ import annotations
 
@@ -7,29 +7,81 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Used only where the session has no spark.checkpoint.dir, as in tests on one machine.
+#: Used only where a local session has no spark.checkpoint.dir, as in tests on one machine.
 FALLBACK_DIR = "/tmp/checkpoints"
-#: Rows (of a few dozen bytes) up to which a side is broadcast after they have been counted.
-BROADCAST_ROWS = 500_000
+#: Bytes, uncompressed, up to which a side is broadcast after it has been measured.
+BROADCAST_BYTES = 64 << 20
+#: Tasks over which the rows of one key are spread where a side is too large to broadcast.
+SPREAD = 64
+
+_cleaned: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that every executor sees, as the cluster names it."""
-    return spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_DIR
+    """Folder that every executor sees, as the cluster names it; a cluster without one is an error."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder:
+        return folder
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+    return FALLBACK_DIR
+
+
+def hadoop_path(spark: SparkSession, path: str):
+    """(file system, path) of the session's Hadoop configuration."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
 
 
 def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/ratiobin/{tag}-{uuid.uuid4().hex}"
+    """A fresh folder for this application's files; all of them are removed when the driver's JVM ends."""
+    folder = f"{shared_dir(spark)}/ratiobin/{spark.sparkContext.applicationId}"
+    if folder not in _cleaned:
+        fs, where = hadoop_path(spark, folder)
+        fs.mkdirs(where)
+        fs.deleteOnExit(where)
+        _cleaned.add(folder)
+    return f"{folder}/{tag}-{uuid.uuid4().hex}"
 
 
-def saved(df: DataFrame, tag: str = "step") -> DataFrame:
-    """Write a DataFrame as Parquet to the shared folder and read it back: cuts lineage and survives lost executors."""
+def saved(df: DataFrame, tag: str = "step", plain: bool = False) -> DataFrame:
+    """Write a DataFrame as Parquet to the shared folder and read it back: cuts lineage and survives lost executors.
+
+    plain: neither compressed nor with dictionaries, so that the bytes of its files tell what it takes in memory.
+    """
     path = new_path(df.sparkSession, tag)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    writer = df.write.option("compression", "uncompressed").option("parquet.enable.dictionary", "false") if plain else df.write
+    writer.parquet(path)
+    kept = df.sparkSession.read.schema(df.schema).parquet(path)
+    kept._ratiobin_path = path
+    return kept
+
+
+def is_saved(df: DataFrame) -> bool:
+    return hasattr(df, "_ratiobin_path")
+
+
+def stored_bytes(kept: DataFrame) -> int:
+    """Bytes of the files of a saved DataFrame, as the file system tells without a job."""
+    fs, where = hadoop_path(kept.sparkSession, kept._ratiobin_path)
+    return fs.getContentSummary(where).getLength()
+
+
+def small_side(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """A join side that is written once and measured: broadcast up to `most` bytes, left to a shuffle join beyond."""
+    kept = saved(df, "side", plain=True)
+    return F.broadcast(kept) if stored_bytes(kept) <= most else kept
+
 
+def join_spread(rows: DataFrame, side: DataFrame, keys: list[str], by: str, how: str = "left", most: int = BROADCAST_BYTES) -> DataFrame:
+    """rows joined to side on keys, however many rows a key has.
 
-def small_side(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """A join side that is written once and counted: broadcast up to `most` rows, left to a shuffle join beyond."""
-    kept = saved(df, "side")
-    return F.broadcast(kept) if kept.limit(most + 1).count() <= most else kept
+    side is broadcast up to `most` bytes.  Beyond, it is repeated SPREAD times and the rows of a key are dealt to that many
+    tasks by their column `by`, so a key that holds most rows is no single task's work.
+    """
+    kept = saved(side, "side", plain=True)
+    if stored_bytes(kept) <= most:
+        return rows.join(F.broadcast(kept), keys, how)
+    dealt = rows.withColumn("_spread", F.pmod(F.xxhash64(by), F.lit(SPREAD)).cast("int"))
+    repeated = kept.withColumn("_spread", F.explode(F.sequence(F.lit(0), F.lit(SPREAD - 1))))
+    return dealt.join(repeated, [*keys, "_spread"], how).drop("_spread")

@@ -12,12 +12,14 @@ TABLES = ("header", "centres", "blocks", "anchors")
 
 
 def write_compressed(c: Compressed, path: str, mode: str = "errorifexists") -> None:
-    """Blocks lie sorted by block_id in their step's folder, so a range of positions prunes row groups."""
+    """Blocks lie sorted by block_id in their step's folder, so a range of positions prunes files and row groups.
+
+    Tables are dealt by ranges of (var, step, place), so the blocks of one large step are written by many tasks.
+    """
     c.header.coalesce(1).write.mode(mode).parquet(f"{path}/header")  # one row a step
-    for name in TABLES[1:]:
-        df = getattr(c, name)
-        order = {"centres": "idx", "blocks": "block_id", "anchors": "pos"}[name]
-        df.repartition("var", "step").sortWithinPartitions("var", "step", order).write.mode(mode).partitionBy("var", "step").parquet(f"{path}/{name}")
+    for name, place in (("centres", "idx"), ("blocks", "block_id"), ("anchors", "pos")):
+        dealt = getattr(c, name).repartitionByRange("var", "step", place).sortWithinPartitions("var", "step", place)
+        dealt.write.mode(mode).partitionBy("var", "step").parquet(f"{path}/{name}")
 
 
 def read_compressed(spark: SparkSession, path: str, spec: CodecSpec = CodecSpec()) -> Compressed:
