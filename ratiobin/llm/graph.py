@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ratiobin.llm.common import saved, unsave
+from ratiobin.llm.common import SPREAD, join_dealt, saved, unsave
 
 
 def _fingerprint(edges: DataFrame) -> tuple:
@@ -13,6 +13,12 @@ def _fingerprint(edges: DataFrame) -> tuple:
     return row["n"], row["h"]
 
 
+def _with_least(edges: DataFrame) -> DataFrame:
+    """(u, v) edges plus m, the least v of each u; the edges of a hub are spread over tasks."""
+    lanes = edges.withColumn("_lane", F.pmod(F.xxhash64("v"), F.lit(SPREAD)).cast("int")).groupBy("u", "_lane").agg(F.min("v").alias("m"))
+    return join_dealt(edges, lanes.groupBy("u").agg(F.min("m").alias("m")), "u", "v")
+
+
 def connected_components(edges: DataFrame) -> DataFrame:
     """(src, dst) long edges to (node, component): component is the smallest node that links reach.
 
@@ -25,10 +31,10 @@ def connected_components(edges: DataFrame) -> DataFrame:
     mark = _fingerprint(now)
     while mark[0]:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = _with_least(both).where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v")).distinct()
+        small = _with_least(large)
+        hung = small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         root = large.groupBy("u").agg(F.min("v").alias("m"))
-        hung = large.join(root, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         after = saved(hung.unionByName(root.select("u", F.col("m").alias("v"))).distinct(), "edges")
         new_mark = _fingerprint(after)
         unsave(now)

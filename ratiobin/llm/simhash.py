@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ratiobin.llm import textgrid as tg
-from ratiobin.llm.common import saved, table
+from ratiobin.llm.common import join_dealt, placed, saved, table
 from ratiobin.llm.graph import connected_components
 
 SHINGLE_WORDS = 3
@@ -186,13 +186,17 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     groups = components(prints)
     least = prints.groupBy("fp").agg(F.min("doc_id").alias("least")).join(groups, "fp")
     named = least.join(least.groupBy("component").agg(F.min("least").alias("component_id")), "component").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return join_dealt(prints, named, "fp", "doc_id").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def one_of_each_group(docs: DataFrame) -> DataFrame:
-    """docs without near copies: of each group the row with the smallest doc_id stays (null ids last), whole."""
-    rows = docs.withColumn("_copy_row", F.monotonically_increasing_id())
-    prints = saved(fingerprints(rows.select("doc_id", "_copy_row", "text")), "prints")
-    best = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "_copy_row")).alias("best"))
-    stay = best.join(components(prints), "fp").groupBy("component").agg(F.min("best").alias("best")).select(F.col("best._copy_row").alias("_copy_row"))
-    return rows.join(stay, "_copy_row", "left_semi").drop("_copy_row")
+    """docs without near copies: of each group the row with the smallest doc_id stays (null ids last), whole.
+
+    Rows with equal ids are told apart by their file and place in it, which are the same whenever the rows are read.
+    """
+    row = ["_copy_file", "_copy_row"]
+    rows = placed(docs, *row)
+    prints = saved(fingerprints(rows.select("doc_id", *row, "text")), "prints")
+    best = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", *row)).alias("best"))
+    stay = best.join(components(prints), "fp").groupBy("component").agg(F.min("best").alias("best")).select(*[F.col(f"best.{c}").alias(c) for c in row])
+    return rows.join(stay, row, "left_semi").drop(*row)
