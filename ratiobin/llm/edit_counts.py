@@ -24,10 +24,12 @@ BLOCK_CHUNKS = 32
 #: Chunk counts that a Python worker remembers.
 MEMO = 300_000
 
-#: A chunk begins where a character that is no space meets one of four plain spaces.
-CHUNKS = re.compile(r"[ \t\n\r]*[^ \t\n\r]+|[ \t\n\r]+")
-#: With other spaces about, borders are not safe: such a text is one chunk.
-ODD_SPACE = re.compile(r"[^\S \t\n\r]|[\x1c-\x1f]")
+PLAIN = (" ", "\t", "\n", "\r")
+#: A chunk begins where a character that is no space of any kind meets one of four plain spaces; after other spaces (no-break,
+#: ideographic, control) borders are not safe, so a chunk goes on over a run of spaces that begins with such a one.
+CHUNKS = re.compile(r"\s*\S+(?:[^\S \t\n\r]\s*(?:\S+|\Z))*|\s+")
+#: Chunks of a block after which all blocks are cut anew, from the chunks and counts that they hold.
+MOST_BLOCK = 16 * BLOCK_CHUNKS
 
 
 class ChunkCounter:
@@ -55,10 +57,11 @@ class TokenTree:
         self._fill(text)
 
     def _fill(self, text: str) -> None:
-        self.odd = bool(ODD_SPACE.search(text))
-        chunks = [text] if self.odd else CHUNKS.findall(text)
-        counts = self._count(chunks)
-        self.blocks = [list(zip(chunks[i : i + BLOCK_CHUNKS], counts[i : i + BLOCK_CHUNKS], strict=True)) for i in range(0, len(chunks), BLOCK_CHUNKS)] or [[]]
+        chunks = CHUNKS.findall(text)
+        self._build(list(zip(chunks, self._count(chunks), strict=True)))
+
+    def _build(self, held: list[tuple[str, int]]) -> None:
+        self.blocks = [held[i : i + BLOCK_CHUNKS] for i in range(0, len(held), BLOCK_CHUNKS)] or [[]]
         self.size = 1 << (len(self.blocks) - 1).bit_length()
         self.chars, self.tokens = [0] * (2 * self.size), [0] * (2 * self.size)
         for i, block in enumerate(self.blocks):
@@ -102,12 +105,6 @@ class TokenTree:
         """Replace `delete` characters from `at` by `insert`."""
         at = min(max(at, 0), self.n_chars)
         delete = min(max(delete, 0), self.n_chars - at)
-        if self.odd or ODD_SPACE.search(insert):
-            whole = self.text()
-            done = self.encoded
-            self._fill(whole[:at] + insert + whole[at + delete :])
-            self.encoded = done + self.n_chars
-            return
         first, begin = self._find(max(at - 1, 0))
         last, _ = self._find(at + delete)
         held = [(c, n, i) for i in range(first, last + 1) for c, n in (self.blocks[i] if i < len(self.blocks) else [])]
@@ -126,7 +123,7 @@ class TokenTree:
         self.encoded += len(new)
         # A chunk that now lacks its leading space joins the one before; the context keeps this inside the region unless
         # the region begins its block, so the neighbour before it joins in.
-        while first > 0 and not lead and (not fresh or fresh[0][0][:1] not in (" ", "\t", "\n", "\r")):
+        while first > 0 and not lead and (not fresh or fresh[0][0][:1] not in PLAIN):
             first -= 1
             if self.blocks[first]:
                 *lead, (c, _) = self.blocks[first]
@@ -140,6 +137,8 @@ class TokenTree:
         for i in range(first + 1, last + 1):
             if i < len(self.blocks) and self.blocks[i]:
                 self._set(i, [])
+        if len(self.blocks[first]) > MOST_BLOCK:
+            self._build([c for block in self.blocks for c in block])
 
     def _join_after(self, fresh: list, tail: list, last: int) -> tuple[list, list, int]:
         """A region that ends in spaces, or is followed by a chunk without a leading space, takes the next chunk in."""
@@ -150,8 +149,8 @@ class TokenTree:
                 if last + 1 >= len(self.blocks):
                     return fresh, tail, last
             following = tail[0][0] if tail else self.blocks[last + 1][0][0]
-            spaces_end = bool(fresh) and fresh[-1][0][-1:] in (" ", "\t", "\n", "\r")
-            if fresh and not spaces_end and following[:1] in (" ", "\t", "\n", "\r"):
+            spaces_end = bool(fresh) and fresh[-1][0][-1:].isspace()
+            if fresh and not spaces_end and following[:1] in PLAIN:
                 return fresh, tail, last
             if not tail:
                 last += 1
