@@ -187,14 +187,18 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> FoldedModel:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_PER_CLASS) -> tuple[list[str], list[int]]:
-    """At most per_class labelled texts of each class outside the held-out third, the lowest id hashes first."""
+    """At most per_class labelled texts of each class outside the held-out third, the lowest id hashes first.
+
+    Of several texts with one id the first in order of their bytes is taken; an id with both labels counts as toxic.
+    """
     one = (
         labels.where((crc_mod("doc_id", 3) != 1) & F.col("toxic").isNotNull())
         .groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     )
     order = F.xxhash64("doc_id")
     picks = one.where("toxic = 1").orderBy(order, "doc_id").limit(per_class).unionByName(one.where("toxic = 0").orderBy(order, "doc_id").limit(per_class))
-    rows = docs.select("doc_id", "text").join(F.broadcast(picks), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", "text", "toxic").collect()  # 2 * per_class rows at most
+    texts = docs.select("doc_id", "text").join(F.broadcast(picks), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
+    rows = texts.collect()  # 2 * per_class rows at most
     rows = sorted(rows, key=lambda r: r["doc_id"])
     return [r["text"] or "" for r in rows], [r["toxic"] for r in rows]
 
