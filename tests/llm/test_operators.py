@@ -216,6 +216,47 @@ def test_language_model_equals_the_automaton(spark, tables, corpus):
         assert (r["n_tokens"], r["n_known"], r["train_tokens"], r["held_out"]) == (len(tokens), sum(w in machine.counts for w in tokens), n, held(r["doc_id"]))
 
 
+@pytest.mark.parametrize("order, split", [(1, 0.25), (2, 1e-4), (3, 1e-4)])
+def test_language_model_of_any_order_with_split_histories(spark, tables, corpus, order, split):
+    docs = spark.read.parquet(f"{tables}/documents.parquet")
+    words = {i: space_words(t) for i, t in corpus[0]}
+    machine = language_model.BackoffAutomaton([space_words(t) for i, t in corpus[0] if i is None or zlib.crc32(str(i).encode()) % 10], order)
+    rows = language_model.lm_scores(docs, 20_000, order, split, 4000).collect()
+    assert len(rows) == len(corpus[0]) and all(r["score"] == pytest.approx(machine.score(words[r["doc_id"]]), abs=1e-6) for r in rows)
+
+
+@pytest.mark.parametrize("order", [1, 2, 3, 4])
+@pytest.mark.parametrize("splits", [1, 3])
+def test_traversal_in_segments_equals_the_automaton(order, splits):
+    import random
+
+    import pyarrow as pa
+
+    rng = random.Random(order)
+    docs = [" ".join(f"w{rng.randrange(25)}" if rng.random() < 0.9 else f"r{rng.randrange(10**6)}" for _ in range(rng.randrange(60))) for _ in range(60)] + ["", None, "w1 w2 w3 " * 400]
+    train = np.array([i % 5 != 0 for i in range(len(docs))])
+    machine = language_model.BackoffAutomaton([(d or "").split() for d, t in zip(docs, train, strict=True) if t], order)
+    part = language_model.Part(pa.array(docs), order)
+    often = np.unique(np.concatenate([part.words, *(x.hashes for x in part.levels[:-1])]))[::3]
+    frequent = language_model.Frequent(often, np.full(len(often), splits)) if splits > 1 else language_model.NONE_FREQUENT
+    rows = pa.RecordBatch.from_pydict({"slab": [0] * len(docs), "row_index": list(range(len(docs))), "held_out": ~train, "text": docs})
+    asked = pa.Table.from_batches(language_model.ask(8, order, frequent)([rows])).to_pandas()
+    answers = []
+    for _, shard in asked.groupby(["level", "shard"]):
+        answers += language_model.add_up(frequent)(pa.Table.from_pandas(shard, preserve_index=False)).to_pylist()
+    of = lambda c, n: sum(a[c] for a in answers if a["level"] == n)
+    totals = language_model.Totals(of("n_tokens", 1), of("n_words", 1), int(train.sum()), *(tuple(of(c, n) for n in range(1, order + 1)) for c in ("once", "twice")))
+    assert totals == machine.totals
+    fans = np.zeros(len(frequent.hashes))
+    for a in answers:
+        if a["frequent"]:
+            np.add.at(fans, np.searchsorted(frequent.hashes, np.frombuffer(a["frequent"], dtype="<u8")), np.frombuffer(a["frequent_fans"], dtype="<i8"))
+    part.deal(8, frequent)
+    for segment in (7, 256):
+        scores = language_model.SubAutomaton(part, answers, totals, frequent, fans).traverse(part, segment)
+        assert scores.tolist() == pytest.approx([machine.score((d or "").split()) for d in docs])
+
+
 def test_parts_of_any_size_give_the_same_scores(spark, tables):
     docs = spark.read.parquet(f"{tables}/documents.parquet")
     few, many = (sorted((r["doc_id"] or -1, round(r["base_score"], 6), round(r["score"], 6)) for r in language_model.lm_scores(docs, n).collect()) for n in (1 << 30, 2000))
@@ -422,3 +463,133 @@ def test_added_tokens_get_their_own_id():
     tree = edit_counts.TokenTree("w <|endoftext b c", edit_counts.ChunkCounter(encode))
     tree.edit(13, 0, "|>")
     assert tree.text() == "w <|endoftext|> b c" and tree.n_tokens == len(plain.encode(tree.text(), add_special_tokens=False).ids)
+
+
+def test_edits_of_texts_with_odd_spaces_encode_little():
+    import random
+
+    rng = random.Random(7)
+    encode = packing.encoder()
+    count = edit_counts.ChunkCounter(encode)
+    pieces = ["word", " ", "\n", "é", ".", "it's", "  ", "\u00a0", "\u3000", "\x1c", "\x0b", "\x85", "\u2003 ", "x", "12", "\t"]
+    for _ in range(60):
+        text = "".join(rng.choice(pieces) for _ in range(rng.randrange(120)))
+        tree = edit_counts.TokenTree(text, count)
+        for _ in range(12):
+            at, cut, put = rng.randrange(len(text) + 3), rng.randrange(9), rng.choice(["", " ", "a", "\n\n", "new one ", "'ll", "\u00a0", "\u3000 ", "b\u00a0", "lots of words " * 40])
+            tree.edit(at, cut, put)
+            a = min(at, len(text))
+            text = text[:a] + put + text[a + cut :]
+            assert tree.text() == text and tree.n_tokens == len(encode._slow(text)) // 4
+    tree = edit_counts.TokenTree("some words\u00a0here and there " * 2000, count)
+    tree.edit(30_000, 3, "\u00a0new ")
+    assert tree.encoded < 200
+    tree.edit(100, 0, "and more " * 5000)
+    assert max(map(len, tree.blocks)) <= edit_counts.MOST_BLOCK
+
+
+def test_shared_passage_of_many_items_and_documents(spark):
+    passage = " ".join(f"p{i}" for i in range(20))
+    items = spark.createDataFrame([(i, f"{passage} own{i} " + " ".join(f"i{i}x{k}" for k in range(15))) for i in range(50)] + [(90, "p3 p4 p5")], "item_id long, text string")
+    docs = spark.createDataFrame([(i, f"a b c {passage} d e" if i % 2 else f"clean words {i} p3 p4 P5") for i in range(40)], "doc_id long, text string")
+    for rows in (0, 10_000):
+        for r in decontam.hits(docs, items, broadcast_rows=rows).collect():
+            assert (r["n_hit"], r["item_ids"]) == ((20, [*range(50), 90]) if r["doc_id"] % 2 else (3, [90])) and r["contaminated"]
+
+
+def test_toxicity_scores_against_brute_force(spark, tables, corpus):
+    docs, labels = spark.read.parquet(f"{tables}/documents.parquet"), spark.read.parquet(f"{tables}/labels.parquet")
+    model = toxicity.fit(docs, labels)
+    import pyarrow as pa
+
+    def buckets(word):
+        raw = b" " + word.encode() + b" "
+        return [int(tg.SpanHasher(np.frombuffer(raw[i : i + n], dtype=np.uint8)).spans(np.array([0]), np.array([n]))[0] >> np.uint64(64 - toxicity.BUCKET_BITS)) for n in toxicity.GRAM_SIZES for i in range(len(raw) - n + 1)]
+
+    from ratiobin.llm import textgrid as tg
+
+    want = []
+    for i, t in corpus[0]:
+        w = [x for k, x in enumerate(alnum_words(t)) if not k or x != alnum_words(t)[k - 1]] if i != 406 else ["x"]
+        step = toxicity.WINDOW_WORDS // 2
+        logits = []
+        for a in range(0, max(len(w) - step, 1) if len(w) > toxicity.WINDOW_WORDS else 1, step):
+            grams = [g for x in w[a : a + toxicity.WINDOW_WORDS] for g in buckets(x)]
+            logits.append(sum(float(model.weights[g]) for g in grams) / max(len(grams), 1) + model.bias)
+        want.append(1 / (1 + math.exp(-max(logits))) if w else model.empty_score)
+    assert toxicity.doc_scores(pa.array([t for _, t in corpus[0]]), model).tolist() == pytest.approx(want, abs=1e-6)
+    rows = toxicity.op3_toxicity(spark, tables).collect()
+    held = {i: (None if i is None else zlib.crc32(str(i).encode()) % 3 == 1) for i, _ in corpus[0]}
+    assert all(r["held_out"] == held[r["doc_id"]] and r["predicted"] == int(r["score"] >= 0.7) for r in rows)
+    by_id = {}
+    for (i, _), s in zip(corpus[0], want, strict=True):
+        by_id.setdefault(i, []).append(s)
+    assert all(any(r["score"] == pytest.approx(s, abs=1e-6) for s in by_id[r["doc_id"]]) for r in rows)
+
+
+def test_importance_weights_against_brute_force(spark, tables, corpus):
+    from ratiobin.llm import textgrid as tg
+
+    good = {r["doc_id"] for r in spark.read.parquet(f"{tables}/labels.parquet").where("quality = 1 AND doc_id IS NOT NULL").collect()}
+    size = 1 << resampling.BUCKET_BITS
+
+    def grams(text):
+        h = [tg.SpanHasher(np.frombuffer(w.encode(), dtype=np.uint8)).spans(np.array([0]), np.array([len(w.encode())])) for w in alnum_words(text)]
+        return [int(x[0]) >> (64 - resampling.BUCKET_BITS) for x in [tg.mix64(a) for a in h] + [tg.pair_hash(a, b) for a, b in zip(h, h[1:], strict=False)]]
+
+    docs = [(i, grams(t) if i != 406 else grams("x x")[:1] * 30_000 + grams("x x")[2:] * 29_999) for i, t in corpus[0]]
+    raw, target = np.zeros(size), np.zeros(size)
+    for i, g in docs:
+        np.add.at(raw, g, 1)
+        if i in good:
+            np.add.at(target, g, 1)
+    ratio = np.log((target + 1) / (target.sum() + size)) - np.log((raw + 1) / (raw.sum() + size))
+    want = sorted((i is not None, i or 0, round(float(ratio[g].sum()) if g else 0.0, 6)) for i, g in docs)
+    rows = resampling.op6_resampling(spark, tables).collect()
+    got = sorted((r["doc_id"] is not None, r["doc_id"] or 0, round(r["log_weight"], 6)) for r in rows)
+    assert [x[:2] for x in got] == [x[:2] for x in want] and [x[2] for x in got] == pytest.approx([x[2] for x in want], abs=1e-4)
+
+
+def test_best_fit_plan_equals_best_fit_of_single_pieces():
+    rng = np.random.default_rng(5)
+    for _ in range(40):
+        lengths = sorted(rng.integers(1, 65, rng.integers(1, 80)).tolist(), reverse=True)
+        free: list[int] = []
+        for n in lengths:
+            fits = [(f, i) for i, f in enumerate(free) if f >= n]
+            if fits:
+                free[min(fits)[1]] -= n
+            else:
+                free.append(64 - n)
+        histogram = {n: lengths.count(n) for n in set(lengths)}
+        assert packing.best_fit_plan(histogram, 64)[1] == len(free)
+
+
+def test_near_copies_of_a_hub_and_of_one_tight_group(spark, monkeypatch):
+    monkeypatch.setattr(nn_descent, "MEMBERS", 32)
+    rng = np.random.default_rng(13)
+    a = around(rng, np.zeros(32), 1, 1.0)[0]
+    x = np.concatenate((around(rng, a, 150, 0.002), around(rng, a, 100, 0.08), around(rng, np.zeros(32), 50, 1.0)))
+    got = near_rows(spark, x)
+    assert [got[i]["n_links"] for i in range(len(x))] == brute(x).tolist()
+    star = spark.createDataFrame([(5000, i) for i in range(2000)] + [(1, 9000 + i) for i in range(2000)], "src long, dst long")
+    assert {r["component"] for r in connected_components(star).collect()} == {0}
+
+
+def test_clashing_column_names_of_vectors_and_captures(spark):
+    rows = spark.createDataFrame([(i, [1.0, float(i % 2)], 7, b"x", 3, 4) for i in range(6)], "vec_id long, embedding array<double>, node int, unit binary, code int, component int")
+    assert {r["n_links"] for r in nn_descent.near_vectors(rows).collect()} == {2}
+
+
+def test_texts_of_several_megabytes(spark, tmp_path_factory):
+    path = tmp_path_factory.mktemp("long")
+    long = " ".join(f"word{i % 5000} and {i}" for i in range(180_000)) + " token = hunter2hunter"
+    spark.createDataFrame([(1, long, "en", "s", len(long)), (2, "short text", "en", "s", 10), (2, "other text of that id", "en", "s", 21)], "doc_id long, text string, lang string, source string, n_chars long").coalesce(1).write.parquet(f"{path}/documents.parquet")
+    spark.createDataFrame([(1, " ".join(long.split()[1000:1020]))], "item_id long, text string").write.parquet(f"{path}/benchmark.parquet")
+    spark.createDataFrame([(1, 1, 0), (2, 1, 1)], "doc_id long, quality int, toxic int").write.parquet(f"{path}/labels.parquet")
+    n = len(long.split())
+    found = {name: sorted(entry.QUERIES[name](spark, str(path)).collect()) for name in ("op2_backoff_lm", "op3_toxicity", "op5_edit_counts", "op6_resampling", "op7_secrets", "op8_simhash", "op9_winnowing", "op10_packing")}
+    assert all(len(v) == 3 for k, v in found.items() if k != "op10_packing")
+    assert found["op2_backoff_lm"][0]["n_tokens"] == n + 1 and found["op7_secrets"][0]["n_assign"] == 1
+    assert (found["op9_winnowing"][0]["n_words"], found["op9_winnowing"][0]["n_hit"] >= 20) == (len(alnum_words(long)), True)
+    assert sum(r["length"] for r in found["op10_packing"] if r["doc_id"] == 1) == found["op5_edit_counts"][0]["n_tokens_before"] + 1

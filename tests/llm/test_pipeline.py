@@ -61,3 +61,18 @@ def test_pipeline(spark, tables, corpus):
     assert sorted((i is not None, i or 0, n) for i, n in sums.items()) == want
     for name, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, table, tables).columns == table.columns, name
+
+
+def test_pipeline_of_empty_tables(spark, empty_tables):
+    assert corpus_pipeline.run(spark, empty_tables).collect() == []
+
+
+def test_of_equal_ids_with_different_texts_one_row_of_each_group_stays(spark, tmp_path_factory):
+    from ratiobin.llm.simhash import one_of_each_group
+
+    path = str(tmp_path_factory.mktemp("ids") / "documents.parquet")
+    rows = [(7, "alpha beta gamma delta epsilon"), (7, "quite another text with other words"), (7, "alpha beta gamma delta epsilon"), (None, "alpha beta gamma delta epsilon"), (9, "quite another text with other words")]
+    spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(path)
+    docs = spark.read.parquet(path)
+    for table in (docs, docs.repartition(3), docs.distinct().unionAll(docs)):
+        assert sorted(one_of_each_group(table).collect()) == [(7, rows[0][1]), (7, rows[1][1])]
