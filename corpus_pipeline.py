@@ -1,4 +1,10 @@
-"""Corpus pipeline: toxicity filter, near-copy removal, decontamination, secret removal, packing."""
+"""Corpus pipeline: toxicity filter, near-copy removal, decontamination, secret removal, packing.
+
+Defined cases: null and empty texts pass toxicity (they score below the threshold) and decontamination, count as near copies
+of each other, and pack to one end token; a row with a null doc_id takes part like any other and is the last to stay of a
+group; of rows with one doc_id and different texts each is judged on its own; repeated rows are near copies; an empty table
+gives no pieces; with no usable labels no document is toxic; extra columns pass through all stages but the last.
+"""
 
 from __future__ import annotations
 
