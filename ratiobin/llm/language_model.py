@@ -46,6 +46,9 @@ PART_BYTES = 2 << 20
 BROADCAST_PARTS = 500_000
 #: Input bytes a shard of the automaton stands for.
 SHARD_BYTES = 4 << 20
+#: Input bytes of a task that adds up shards (it holds one shard at a time), and most such tasks.
+TASK_BYTES = 6 << 20
+MOST_TASKS = 1 << 17
 #: Text bytes of the sample that tells frequent histories, and most of them that are told.
 SAMPLE_BYTES = 16 << 20
 MOST_FREQUENT = 1 << 16
@@ -531,7 +534,8 @@ def lm_scores(docs: DataFrame, part_bytes: int = PART_BYTES, order: int = ORDER,
     n_shards = int(min(max(n_bytes // shard_bytes, 8), 1 << 20))
     frequent = frequent_histories(rows, n_bytes, n_shards, order, split_share)
     asked = rows.select("slab", "row_index", "held_out", "text").mapInArrow(ask(n_shards, order, frequent, part_bytes), REQUEST)
-    answers = saved(asked.groupBy("level", "shard").applyInArrow(add_up(frequent), ANSWER), "automaton")
+    tasks = int(min(max(n_bytes // TASK_BYTES, 8), MOST_TASKS))
+    answers = saved(asked.repartition(tasks, "level", "shard").groupBy("level", "shard").applyInArrow(add_up(frequent), ANSWER), "automaton")
     sums = {r["level"]: r for r in answers.groupBy("level").agg(*[F.sum(c).alias(c) for c in ("n_tokens", "n_words", "once", "twice")]).collect()}  # one row a level
     of = lambda c: tuple(sums[n][c] if n in sums else 0 for n in range(1, order + 1))
     totals = Totals(of("n_tokens")[0], of("n_words")[0], n_docs, of("once"), of("twice"))
