@@ -21,7 +21,7 @@ STEP = ["var", "step"]
 CHUNK = 1 << 16
 
 
-def sorted_fit_encode(x: np.ndarray, rel_bound: float, window: int = 1024, degree: int = 3) -> tuple[int, np.ndarray]:
+def sorted_fit_encode(x: np.ndarray, rel_bound: float, window: int = 1024, degree: int = 3, elem_bytes: int = 8) -> tuple[int, np.ndarray]:
     """Bytes and reconstruction of one array: each window sorted, a polynomial fitted, misses corrected on a relative grid."""
     size, out = 0, np.empty_like(x)
     for a in range(0, len(x), window):
@@ -42,12 +42,12 @@ def sorted_fit_encode(x: np.ndarray, rel_bound: float, window: int = 1024, degre
         out[a : a + window] = back
         bits = max(1, int(len(part) - 1).bit_length())
         exponents = np.log2(scale).astype(np.int16)
-        size += len(zlib.compress(pack_bits(order, bits))) + 8 * (degree + 1)
-        size += len(zlib.compress(np.diff(exponents, prepend=0).astype("<i2").tobytes())) + len(zlib.compress(np.where(big, 0, miss).astype("<i4").tobytes())) + 8 * int(big.sum())
+        size += len(zlib.compress(pack_bits(order, bits))) + elem_bytes * (degree + 1)
+        size += len(zlib.compress(np.diff(exponents, prepend=0).astype("<i2").tobytes())) + len(zlib.compress(np.where(big, 0, miss).astype("<i4").tobytes())) + elem_bytes * int(big.sum())
     return size, out
 
 
-def predictive_encode(x: np.ndarray, abs_bound: float) -> tuple[int, np.ndarray]:
+def predictive_encode(x: np.ndarray, abs_bound: float, elem_bytes: int = 8) -> tuple[int, np.ndarray]:
     """Bytes and reconstruction: each value is the one before, as reconstructed, plus a whole number of 2 * bound steps."""
     step = 2 * abs_bound
     level = np.rint(x / step)
@@ -59,7 +59,7 @@ def predictive_encode(x: np.ndarray, abs_bound: float) -> tuple[int, np.ndarray]
     symbols = np.where(coded, miss, 1 << 15).astype("<i4")
     kept = ~coded
     out[kept] = x[kept]
-    return len(zlib.compress((symbols + (1 << 15)).astype("<u4").view(np.uint8).reshape(-1, 4)[:, :3].T.tobytes())) + 8 * int(kept.sum()), out
+    return len(zlib.compress((symbols + (1 << 15)).astype("<u4").view(np.uint8).reshape(-1, 4)[:, :3].T.tobytes())) + elem_bytes * int(kept.sum()), out
 
 
 def chunks(df: DataFrame, size: int = CHUNK) -> DataFrame:
@@ -78,9 +78,9 @@ def _per_chunk(df: DataFrame, encode) -> DataFrame:
     return chunks(df).groupBy(*STEP, "chunk_id").applyInPandas(run, "var string, step int, pos long, value double, value_hat double, chunk_bytes long")
 
 
-def sorted_fit_codec(df: DataFrame, rel_bound: float, window: int = 1024, degree: int = 3) -> DataFrame:
+def sorted_fit_codec(df: DataFrame, rel_bound: float, window: int = 1024, degree: int = 3, elem_bytes: int = 8) -> DataFrame:
     """Points with their reconstruction and the bytes of each chunk (on its first point), under a relative bound."""
-    return _per_chunk(df.where("value IS NOT NULL").withColumn("bound", F.lit(rel_bound)), lambda x, b: sorted_fit_encode(x, b, window, degree))
+    return _per_chunk(df.where("value IS NOT NULL").withColumn("bound", F.lit(rel_bound)), lambda x, b: sorted_fit_encode(x, b, window, degree, elem_bytes))
 
 
 def absolute_bound(df: DataFrame, rel: float) -> DataFrame:
@@ -89,9 +89,9 @@ def absolute_bound(df: DataFrame, rel: float) -> DataFrame:
     return df.groupBy(*STEP).agg(F.when(mean == 0, F.raise_error(F.lit("a step averages zero"))).otherwise(mean * rel).alias("bound"))
 
 
-def predictive_codec(df: DataFrame, rel: float) -> DataFrame:
+def predictive_codec(df: DataFrame, rel: float, elem_bytes: int = 8) -> DataFrame:
     """Points with their reconstruction and chunk bytes, under the absolute bound that belongs to a relative one."""
-    return _per_chunk(df.where("value IS NOT NULL").join(F.broadcast(absolute_bound(df, rel)), STEP), predictive_encode)  # one row a step
+    return _per_chunk(df.where("value IS NOT NULL").join(F.broadcast(absolute_bound(df, rel)), STEP), lambda x, b: predictive_encode(x, b, elem_bytes))  # one row a step
 
 
 def lossless_size(df: DataFrame, codec: str = "zlib", elem_bytes: int = 8) -> DataFrame:

@@ -19,11 +19,26 @@ def cover(values: np.ndarray, weights: np.ndarray, k: int, width: float, windows
     without value i, or a window that starts at value i plus the best with one window fewer for what lies beyond it.  Only
     as many suffixes are kept as the widest window reaches; recovering windows keeps one bit for each cell.
     """
+    row, opened, beyond = _table(values, weights, k, width, windows)
+    k = len(row) - 1
+    lefts = []
+    i, m = 0, k
+    while windows and i < len(values) and m:
+        if opened[i, m // 8] >> (7 - m % 8) & 1:
+            lefts.append(float(values[i]))
+            i, m = int(beyond[i]), m - 1
+        else:
+            i += 1
+    return int(row[k]), lefts
+
+
+def _table(values: np.ndarray, weights: np.ndarray, k: int, width: float, windows: bool = False) -> tuple[np.ndarray, np.ndarray | None, np.ndarray]:
+    """The optimum for 0, 1, ... min(k, values) windows, the bits that recover windows, and how far each window reaches."""
     n = len(values)
-    k = min(k, n)
-    if not n or k <= 0:
-        return 0, []
+    k = max(min(k, n), 0)
     beyond = np.searchsorted(values, values + width, side="right")
+    if not n or not k:
+        return np.zeros(1, dtype=np.int64), None, beyond
     mass = np.concatenate(([0], np.cumsum(weights.astype(np.int64))))
     ring = int((beyond - np.arange(n)).max()) + 1
     held = np.zeros((ring, k + 1), dtype=np.int64)
@@ -36,16 +51,16 @@ def cover(values: np.ndarray, weights: np.ndarray, k: int, width: float, windows
         if windows:
             opened[i] = np.packbits(np.concatenate(([False], start > skip[1:])))[: opened.shape[1]]
         held[i % ring] = row
-    best = int(held[0, k])
-    lefts = []
-    i, m = 0, k
-    while windows and i < n and m:
-        if opened[i, m // 8] >> (7 - m % 8) & 1:
-            lefts.append(float(values[i]))
-            i, m = int(beyond[i]), m - 1
-        else:
-            i += 1
-    return best, lefts
+    return held[0].copy(), opened, beyond
+
+
+def _values(ratios: DataFrame, k: int, most_cells: int) -> DataFrame:
+    """Distinct ratios of each step with their counts; a step whose table would have more than `most_cells` cells is refused."""
+    values = ratios.where("ratio IS NOT NULL").groupBy(*STEP, "ratio").agg(F.count("*").alias("w"))
+    worst = values.groupBy(*STEP).count().agg(F.max("count")).first()[0] or 0
+    if worst * min(k, worst) > most_cells:
+        raise MemoryError(f"optimal cover of {worst} values by {k} windows needs {worst * min(k, worst)} cells; the limit is {most_cells}")
+    return values
 
 
 def optimal_cover(ratios: DataFrame, k: int, width: float, most_cells: int = MOST_CELLS) -> DataFrame:
@@ -53,10 +68,7 @@ def optimal_cover(ratios: DataFrame, k: int, width: float, most_cells: int = MOS
 
     Refuses a step whose table would have more than `most_cells` cells: the full table grows with points times bins.
     """
-    values = ratios.where("ratio IS NOT NULL").groupBy(*STEP, "ratio").agg(F.count("*").alias("w"))
-    worst = values.groupBy(*STEP).count().agg(F.max("count")).first()[0] or 0
-    if worst * min(k, worst) > most_cells:
-        raise MemoryError(f"optimal cover of {worst} values by {k} windows needs {worst * min(k, worst)} cells; the limit is {most_cells}")
+    values = _values(ratios, k, most_cells)
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values("ratio")
@@ -67,16 +79,32 @@ def optimal_cover(ratios: DataFrame, k: int, width: float, most_cells: int = MOS
     return values.groupBy(*STEP).applyInPandas(run, "var string, step int, n long, covered long")
 
 
+def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float, most_cells: int = MOST_CELLS) -> DataFrame:
+    """(var, step, k, n, covered) for several numbers of windows: one table holds the optimum of each number up to the largest."""
+    values = _values(ratios, max(ks), most_cells)
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values("ratio")
+        w = frame["w"].to_numpy()
+        row, _, _ = _table(frame["ratio"].to_numpy(), w, max(ks), width)
+        covered = [int(row[min(k, len(row) - 1)]) for k in ks]
+        return pd.DataFrame({"var": frame["var"].iloc[0], "step": frame["step"].iloc[0], "k": list(ks), "n": int(w.sum()), "covered": covered})
+
+    return values.groupBy(*STEP).applyInPandas(run, "var string, step int, k int, n long, covered long")
+
+
 def optimal_windows(ratios: DataFrame, k: int, width: float, most_cells: int = MOST_CELLS) -> DataFrame:
-    """(var, step, idx, centre): centres of the windows of an optimal cover."""
-    values = ratios.where("ratio IS NOT NULL").groupBy(*STEP, "ratio").agg(F.count("*").alias("w"))
-    worst = values.groupBy(*STEP).count().agg(F.max("count")).first()[0] or 0
-    if worst * min(k, worst) > most_cells:
-        raise MemoryError(f"optimal cover needs {worst * min(k, worst)} cells; the limit is {most_cells}")
+    """(var, step, idx, centre): centres of the windows of an optimal cover, midway between the outermost values that they hold.
+
+    Midway, so that rounding takes no value at a window's end out of reach.
+    """
+    values = _values(ratios, k, most_cells)
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values("ratio")
-        _, lefts = cover(frame["ratio"].to_numpy(), frame["w"].to_numpy(), k, width, windows=True)
-        return pd.DataFrame({"var": frame["var"].iloc[0], "step": frame["step"].iloc[0], "idx": np.arange(len(lefts)), "centre": np.array(lefts) + width / 2})
+        values = frame["ratio"].to_numpy()
+        _, lefts = cover(values, frame["w"].to_numpy(), k, width, windows=True)
+        rights = values[np.searchsorted(values, np.array(lefts) + width, side="right") - 1]
+        return pd.DataFrame({"var": frame["var"].iloc[0], "step": frame["step"].iloc[0], "idx": np.arange(len(lefts)), "centre": (np.array(lefts) + rights) / 2})
 
     return values.groupBy(*STEP).applyInPandas(run, "var string, step int, idx int, centre double")

@@ -172,15 +172,20 @@ def ungrouped(hat: DataFrame, size: int) -> DataFrame:
     return hat.select(name.alias("var"), "step", (F.col("pos") + run * size).alias("pos"), "value_hat")
 
 
-def compress_series(df: DataFrame, spec: CodecSpec = CodecSpec()) -> Compressed:
-    """All steps of a series in one run, with ratios to the original step before; the first step is kept as it is."""
+def compress_series(df: DataFrame, spec: CodecSpec = CodecSpec(), ratios: DataFrame | None = None) -> Compressed:
+    """All steps of a series in one run, with ratios to the original step before; the first step is kept as it is.
+
+    ratios: change_ratios(df), if they are saved already.
+    """
+    ratios = ratios if (spec.reference, spec.bits_scope, spec.zero_prev, spec.anchor_every) == ("original", "step", "exact", None) else None
     df = grouped(df, spec.group_points) if spec.bits_scope == "group" else df
     if spec.reference == "reconstructed":
         return compress_closed_loop(df, spec)
     df = df if is_saved(df) else kept(df, spec, "series")
     first = df.groupBy("var").agg(F.min("step").alias("_first"))
     anchors = df.join(F.broadcast(first), "var").where(is_anchor(spec)).drop("_first")  # one row for each variable
-    return compress_ratios(kept(change_ratios(df, spec.zero_prev, anchor_every=spec.anchor_every), spec, "ratios"), spec, anchors)
+    ratios = kept(change_ratios(df, spec.zero_prev, anchor_every=spec.anchor_every), spec, "ratios") if ratios is None else ratios
+    return compress_ratios(ratios, spec, anchors)
 
 
 def compress_step(prev: DataFrame, cur: DataFrame, spec: CodecSpec = CodecSpec()) -> Compressed:

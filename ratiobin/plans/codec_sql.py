@@ -14,7 +14,7 @@ def double(x: float) -> str:
 def ctes(series: str, elem_bytes: int = 8, bits: int | None = None, error_bound: float = E, where: str = "true", group: str | None = None, steps: str = "true", anchor: str = "min") -> str:
     """s series, r ratios, g ranges, b bins, h histogram, k ranks, z sizes, p chosen lengths, c centres, i index.
 
-    where filters ratios, steps filters the series; group is an expression over r whose values choose their own lengths.
+    series is a name or a select.  where filters ratios, steps filters the series; group is an expression over r whose values choose their own lengths.
     """
     w, keys = double(2 * error_bound), "var, step" + (", grp" if group else "")
     grp = f", {group} AS grp" if group else ""
@@ -22,7 +22,7 @@ def ctes(series: str, elem_bytes: int = 8, bits: int | None = None, error_bound:
     centre = f"bin * {w}" if anchor == "zero" else f"lo + (bin + {double(0.5)}) * {w}"
     pick = f"bits = {bits}" if bits else "true"
     return f"""
-WITH s AS (SELECT * FROM ({SERIES_SQL[series]}) WHERE {steps}),
+WITH s AS (SELECT * FROM ({SERIES_SQL.get(series, series)}) WHERE {steps}),
 r0 AS (SELECT var, step, pos, prev, cur, CASE WHEN prev IS NOT NULL AND cur IS NOT NULL AND prev <> 0 THEN (cur - prev) / prev END AS ratio FROM (
   SELECT var, step, pos, value AS cur, CASE WHEN lag(step) OVER w = step - 1 THEN lag(value) OVER w END AS prev, min(step) OVER (PARTITION BY var) AS f
   FROM s WINDOW w AS (PARTITION BY var, pos ORDER BY step)) WHERE step > f),

@@ -17,12 +17,12 @@ from ratiobin.operators import chunks as ck
 from ratiobin.operators import decode as dc
 from ratiobin.operators import measures as ms
 from ratiobin.operators import relational as rl
-from ratiobin.operators.optimal import optimal_cover
+from ratiobin.operators.optimal import optimal_cover, optimal_covers
 from ratiobin.operators.ratios import change_ratios, every_nth, ratio_profile, ratio_range
 from ratiobin.plans import codec as cd
 from ratiobin.plans.codec_sql import E, ctes, decoded, double
-from ratiobin.session import new_path, saved, small_side
-from ratiobin.sources import ncfile, store
+from ratiobin.session import exists, is_saved, new_path, once, saved
+from ratiobin.sources import ncfile, store, table
 from ratiobin.sources.series import BUILDERS, ELEM_BYTES, SERIES_SQL, load_series
 from ratiobin.sources.tables import load_table
 from ratiobin.spec import CodecSpec
@@ -35,8 +35,6 @@ SQL: dict[str, str] = {}
 STEP = ["var", "step"]
 #: Blocks of the workloads on small tables, so that a step has several.
 SMALL_BLOCK = 4096
-#: The late step of each series that the sweeps look at.
-LATE = {"part_volume": (14, 26), "customer_balance": (40, 78)}
 
 
 def query(name: str, sql: str | None = None):
@@ -50,8 +48,8 @@ def query(name: str, sql: str | None = None):
 
 
 def ratios_of(spark: SparkSession, sf: str, series: str, steps: tuple[int, ...] | None = None) -> DataFrame:
-    ratios = change_ratios(load_series(spark, sf, series))
-    return saved(ratios if steps is None else ratios.where(F.col("step").isin(*steps)), "ratios")
+    ratios = once(spark, ("ratios", sf, series), lambda: change_ratios(load_series(spark, sf, series)))
+    return ratios if steps is None else ratios.where(F.col("step").isin(*steps))
 
 
 def binned_of(spark: SparkSession, sf: str, series: str, anchor: str = "min", steps: tuple[int, ...] | None = None) -> DataFrame:
@@ -62,8 +60,19 @@ def indexed_of(spark: SparkSession, sf: str, series: str, steps: tuple[int, ...]
     return cd.index_ratios(ratios_of(spark, sf, series, steps), CodecSpec(error_bound=E, elem_bytes=ELEM_BYTES[series], **kw))
 
 
+_compressed: dict[tuple, cd.Compressed] = {}
+
+
 def compressed_of(spark: SparkSession, sf: str, series: str, **kw) -> cd.Compressed:
-    return cd.compress_series(load_series(spark, sf, series), CodecSpec(error_bound=E, elem_bytes=ELEM_BYTES[series], **kw))
+    """A compressed series; kept for other queries of the same session while its files are there."""
+    key = (spark.sparkContext.applicationId, id(spark), sf, series, *sorted(kw.items()))
+    if key not in _compressed or not exists(spark, f"{_compressed[key].header._ratiobin_path}/_SUCCESS"):
+        spec = CodecSpec(error_bound=E, elem_bytes=ELEM_BYTES[series], **kw)
+        made = cd.compress_series(load_series(spark, sf, series), spec, ratios_of(spark, sf, series))
+        if not is_saved(made.header):
+            return made
+        _compressed[key] = made
+    return _compressed[key]
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -83,14 +92,14 @@ RATIO_COLUMNS = [*STEP, "pos", "ratio"]
 
 @query("m_change_ratio", ctes("price_states") + "SELECT var, step, pos, ratio FROM r")
 def m_change_ratio(spark, sf):
-    return change_ratios(load_series(spark, sf, "price_states")).select(*RATIO_COLUMNS)
+    return ratios_of(spark, sf, "price_states").select(*RATIO_COLUMNS)
 
 
 @query("m_change_ratio_join", ctes("part_volume") + "SELECT var, pos, prev, cur, ratio FROM r WHERE step = 14")
 def m_change_ratio_join(spark, sf):
     from ratiobin.functions.columns import change_ratio
 
-    series = saved(load_series(spark, sf, "part_volume"), "series")
+    series = load_series(spark, sf, "part_volume")
     pairs = rl.pair_steps(rl.slice_series(series, step=13), rl.slice_series(series, step=14))
     return pairs.withColumn("ratio", change_ratio(F.col("prev"), F.col("cur")))
 
@@ -101,19 +110,19 @@ def m_change_ratio_join(spark, sf):
 def m_change_ratio_ragged(spark, sf):
     from ratiobin.functions.columns import change_ratio
 
-    series = saved(load_series(spark, sf, "turn_lengths"), "series")
+    series = load_series(spark, sf, "turn_lengths")
     pairs = rl.pair_steps(rl.slice_series(series, step=1), rl.slice_series(series, step=2), "full")
     return pairs.withColumn("ratio", change_ratio(F.col("prev"), F.col("cur")))
 
 
 @query("m_ratio_range", each(ALL, lambda n: ctes(n) + "SELECT var, step, lo, hi, n, n_defined FROM g"))
 def m_ratio_range(spark, sf):
-    return union([ratio_range(change_ratios(load_series(spark, sf, n))) for n in ALL])
+    return union([ratio_range(ratios_of(spark, sf, n)) for n in ALL]).drop("last_pos")
 
 
 @query("m_ratio_profile", each(ALL, lambda n: ctes(n, anchor="zero") + f"SELECT var, step, count(*) AS n, count(ratio) AS n_defined, count(*) FILTER (abs(ratio) <= {double(E)}) AS n_small, min(ratio) AS lo, max(ratio) AS hi, count(DISTINCT bin) AS occupied FROM b GROUP BY ALL"))
 def m_ratio_profile(spark, sf):
-    return union([ratio_profile(change_ratios(load_series(spark, sf, n)), E) for n in ALL])
+    return union([ratio_profile(ratios_of(spark, sf, n), E) for n in ALL])
 
 
 @query("m_ratio_histogram", ctes("part_volume") + "SELECT var, step, bin, cnt FROM h")
@@ -195,10 +204,9 @@ def covered_sql(series: str, strategy: str, bits: int, where: str, pool: bool =
 
 
 def covered(spark, sf, series, strategy, bits, steps=None, pool=False, drop_small=False):
-    ratios = change_ratios(load_series(spark, sf, series)) if steps is None else ratios_of(spark, sf, series, steps)
+    ratios = ratios_of(spark, sf, series, steps)
     ratios = ratios.where(F.abs("ratio") > E) if drop_small else ratios
     ratios = ratios.withColumn("step", F.lit(0)) if pool else ratios
-    ratios = saved(ratios, "ratios")
     if strategy == "optimal":
         return optimal_cover(ratios, (1 << bits) - 1, 2 * E).select(*STEP, "n", "covered")
     return bn.covered_by(ratios, strategy, bits, E).groupBy(*STEP).agg(F.count("*").alias("n"), F.count(F.when(F.col("covered"), 1)).alias("covered"))
@@ -237,23 +245,25 @@ def m_kmeans(spark, sf):
     return bn.kmeans_bins(ratios_of(spark, sf, "supplier_month"), 15, error_bound=E)
 
 
-@query("m_kmeans_one_round", ctes("supplier_month", steps="step IN (19, 20)") + f""", x AS (SELECT floor(ratio / {double(2 * E / 16)}) AS cell, avg(ratio) AS x, count(*) AS w FROM r WHERE ratio IS NOT NULL GROUP BY ALL),
-  lim AS (SELECT min(x) AS a, max(x) AS b FROM x), c0 AS (SELECT a + (j + {double(0.5)}) * (b - a) / 7 AS c, j FROM lim, (SELECT unnest(range(0, 7)) AS j)),
-  near AS (SELECT x.x, x.w, c0.j, row_number() OVER (PARTITION BY x.cell ORDER BY abs(x.x - c0.c), c0.c) AS n FROM x, c0)
-  SELECT CAST(j AS INTEGER) AS idx, round(coalesce(sum(near.x * near.w) FILTER (n = 1) / sum(near.w) FILTER (n = 1), any_value(c0.c)), 9) AS centre FROM near JOIN c0 USING (j) GROUP BY j""")
+@query("m_kmeans_one_round", ctes("supplier_month") + f""", x AS (SELECT var, step, floor(ratio / {double(2 * E / 16)}) AS cell, avg(ratio) AS x, count(*) AS w FROM r WHERE ratio IS NOT NULL GROUP BY ALL),
+  lim AS (SELECT var, step, min(x) AS a, max(x) AS b, least(count(*), 7) AS m FROM x GROUP BY ALL),
+  c0 AS (SELECT var, step, a + (j + {double(0.5)}) * (b - a) / m AS c, j FROM lim, (SELECT unnest(range(0, 7)) AS j) WHERE j < m),
+  near AS (SELECT var, step, x.x, x.w, c0.j, row_number() OVER (PARTITION BY var, step, x.cell ORDER BY abs(x.x - c0.c), c0.c) AS n FROM x JOIN c0 USING (var, step))
+  SELECT var, step, CAST(j AS INTEGER) AS idx, round(coalesce(sum(near.x * near.w) FILTER (n = 1) / sum(near.w) FILTER (n = 1), any_value(c0.c)), 9) AS centre FROM near JOIN c0 USING (var, step, j) GROUP BY var, step, j""")
 def m_kmeans_one_round(spark, sf):
-    ratios = ratios_of(spark, sf, "supplier_month", (20,))
-    return bn.kmeans_bins(ratios, 7, max_iter=1, init="equal", error_bound=E).select("idx", F.round("centre", 9).alias("centre"))
+    centres = bn.kmeans_bins(ratios_of(spark, sf, "supplier_month"), 7, max_iter=1, init="equal", error_bound=E)
+    return centres.select(*STEP, "idx", F.round("centre", 9).alias("centre"))
 
 
 @query("m_kmeans_ml")
 def m_kmeans_ml(spark, sf):
-    return bn.kmeans_ml_bins(ratios_of(spark, sf, "supplier_month", (20,)), 7)
+    """The library's k-means over the ratios of all steps together."""
+    return bn.kmeans_ml_bins(ratios_of(spark, sf, "supplier_month").withColumn("step", F.lit(0)), 7)
 
 
 @query("m_optimal_cover")
 def m_optimal_cover(spark, sf):
-    return union([covered(spark, sf, "customer_balance", "optimal", 4, LATE["customer_balance"], drop_small=True), covered(spark, sf, "supplier_month", "optimal", 4, pool=True, drop_small=True)])
+    return union([covered(spark, sf, "customer_balance", "optimal", 4, drop_small=True), covered(spark, sf, "supplier_month", "optimal", 4, pool=True, drop_small=True)])
 
 
 WINDOWS = ctes("supplier_month", where=f"abs(ratio) > {double(E)}") + f""", w AS (SELECT var, step, ratio, count(*) OVER (PARTITION BY var, step ORDER BY ratio RANGE BETWEEN CURRENT ROW AND {double(2 * E)} FOLLOWING) AS c FROM r) """
@@ -266,8 +276,7 @@ def m_optimal_cover_k1(spark, sf):
 
 @query("m_optimal_cover_k2", WINDOWS + f"SELECT a.var, a.step, max(a.n) AS n, max(a.c + coalesce(b.c, 0)) AS covered FROM (SELECT *, count(*) OVER (PARTITION BY var, step) AS n FROM w) a LEFT JOIN w b ON a.var = b.var AND a.step = b.step AND b.ratio > a.ratio + {double(2 * E)} GROUP BY a.var, a.step")
 def m_optimal_cover_k2(spark, sf):
-    ratios = saved(change_ratios(load_series(spark, sf, "supplier_month")).where(F.abs("ratio") > E), "ratios")
-    return optimal_cover(ratios, 2, 2 * E)
+    return optimal_cover(ratios_of(spark, sf, "supplier_month").where(F.abs("ratio") > E), 2, 2 * E)
 
 
 # --- methods: index, blocks, decoding
@@ -332,6 +341,56 @@ def m_decode_range(spark, sf):
     return cd.decompress_range(compressed_of(spark, sf, "drift_field", block_bytes=SMALL_BLOCK), "drift_field", 2, 5000, 9000)
 
 
+GROUP_POINTS = 512
+
+
+@query("m_decode_group_bits", decoded("customer_balance", group=f"pos // {GROUP_POINTS}") + HAT)
+def m_decode_group_bits(spark, sf):
+    """Every run of positions has its own centres and index length."""
+    return cd.decompress_series(compressed_of(spark, sf, "customer_balance", bits_scope="group", group_points=GROUP_POINTS))
+
+
+@query("m_pooled_centres")
+def m_pooled_centres(spark, sf):
+    """One set of centres for all steps of the small steps' series: index length, centres, exact values, ratio."""
+    c = compressed_of(spark, sf, "supplier_month", centres_scope="series")
+    return cd.report(c).select(*STEP, "n", "bits", "n_centres", "n_exact_stored", F.round("cr", 6).alias("cr"))
+
+
+@query("m_value_bound")
+def m_value_bound(spark, sf):
+    """Exact values with the bound on the ratio and on the value, and the largest error against the current value."""
+    out = []
+    for bound in ("ratio", "value"):
+        points = indexed_of(spark, sf, "part_volume", bound=bound).points
+        off = F.abs(F.col("ratio") - F.col("centre")) / F.abs(1 + F.col("ratio"))
+        out.append(points.groupBy(*STEP).agg(F.lit(bound).alias("bound"), F.count(F.when(F.col("centre").isNull(), 1)).alias("n_exact"), F.round(F.max(off), 9).alias("max_value_error")))
+    return union(out)
+
+
+@query("m_centre_map")
+def m_centre_map(spark, sf):
+    """Header and centres of a step as maps, looked up by name and by index."""
+    c = compressed_of(spark, sf, "part_volume")
+    maps = dc.centre_map(c.header, c.centres)
+    return maps.select(*STEP, F.element_at("attributes", F.lit("bits")).cast("int").alias("bits"), F.size("centres").alias("n_centres"), F.try_element_at("centres", F.lit(0)).alias("first_centre"))
+
+
+@query("m_read_store", decoded("price_states") + HAT)
+def m_read_store(spark, sf):
+    """The store read as a table of decoded values, runs of positions side by side and without a shuffle."""
+    path = new_path(spark, "store")
+    store.write_compressed(compressed_of(spark, sf, "price_states", block_bytes=SMALL_BLOCK), path)
+    return table.read_decoded(spark, path, points=16_384)
+
+
+@query("m_read_store_range", decoded("drift_field") + HAT + " WHERE step = 2 AND pos >= 5000 AND pos < 9000")
+def m_read_store_range(spark, sf):
+    path = new_path(spark, "store")
+    store.write_compressed(compressed_of(spark, sf, "drift_field", block_bytes=SMALL_BLOCK), path)
+    return table.read_decoded(spark, path, step=2, start=5000, stop=9000, points=1000)
+
+
 @query("m_roundtrip_store", decoded("price_states") + HAT)
 def m_roundtrip_store(spark, sf):
     path = new_path(spark, "roundtrip")
@@ -339,13 +398,16 @@ def m_roundtrip_store(spark, sf):
     return cd.decompress_series(store.read_compressed(spark, path))
 
 
-@query("m_roundtrip_array_file", decoded("price_states") + HAT)
+@query("m_roundtrip_array_file", each(("price_states", "part_volume"), lambda n: decoded(n) + HAT))
 def m_roundtrip_array_file(spark, sf):
-    c = compressed_of(spark, sf, "price_states", block_bytes=SMALL_BLOCK)
-    path = new_path(spark, "arrays").removeprefix("file://")
-    ncfile.write_array_files(c.blocks, c.header, c.centres, path).write.format("noop").mode("overwrite").save()
+    """Two variables in common files, steps stored without loss included; decoded from the files alone."""
+    path = new_path(spark, "arrays")
+    parts = [compressed_of(spark, sf, n, block_bytes=SMALL_BLOCK) for n in ("price_states", "part_volume")]
+    blocks, header, centres, anchors = (union([getattr(c, x) for c in parts]) for x in ("blocks", "header", "centres", "anchors"))
+    ncfile.write_array_files(blocks, header, centres, path, anchors)
     blocks, header, centres = ncfile.read_array_files(spark, path)
-    return dc.decompress_chain(dc.decode_blocks(blocks, header, centres), c.anchors)
+    hat = dc.decompress_chain(dc.decode_blocks(blocks, header, centres), ncfile.read_anchors(spark, path))
+    return hat.where("value_hat IS NOT NULL")
 
 
 @query("m_anchors")
@@ -367,7 +429,7 @@ def b_sorted_fit(spark, sf):
 
 @query("b_predictive")
 def b_predictive(spark, sf):
-    return bs.coded_size(bs.predictive_codec(saved(load_series(spark, sf, "part_volume"), "series"), E)).select(*CODED)
+    return bs.coded_size(bs.predictive_codec(load_series(spark, sf, "part_volume"), E)).select(*CODED)
 
 
 @query("b_lossless")
@@ -469,15 +531,16 @@ def w_cr_by_step(spark, sf):
 
 @query("w_cr_compare")
 def w_cr_compare(spark, sf):
-    """Mean compression ratio of the codec and of both comparison coders on the correlated series."""
+    """Compression ratio of the codec and of both comparison coders: mean over all coded steps, and the last step's."""
     out = []
-    for n in ("drift_field", "price_states", "part_volume", "customer_balance"):
-        series = saved(load_series(spark, sf, n).where("step > 0"), "series")
-        codec = cd.report(compressed_of(spark, sf, n)).select("var", F.lit("ratio_bin").alias("coder"), "cr")
-        a = bs.coded_size(bs.sorted_fit_codec(series, E)).select("var", F.lit("sorted_fit").alias("coder"), "cr")
-        b = bs.coded_size(bs.predictive_codec(series, E)).select("var", F.lit("predictive").alias("coder"), "cr")
+    for n in W8:
+        series, size = load_series(spark, sf, n).where("step > 0"), ELEM_BYTES[n]
+        codec = cd.report(compressed_of(spark, sf, n)).select(*STEP, F.lit("ratio_bin").alias("coder"), "cr")
+        a = bs.coded_size(bs.sorted_fit_codec(series, E, elem_bytes=size), size).select(*STEP, F.lit("sorted_fit").alias("coder"), "cr")
+        b = bs.coded_size(bs.predictive_codec(series, E, size), size).select(*STEP, F.lit("predictive").alias("coder"), "cr")
         out += [codec, a, b]
-    return union(out).groupBy("var", "coder").agg(F.round(F.avg("cr"), 6).alias("mean_cr"), F.count("*").alias("steps"))
+    rows = union(out).groupBy("var", "coder").agg(F.avg("cr").alias("mean_cr"), F.max_by("cr", "step").alias("last_cr"), F.count("*").alias("steps"))
+    return rows.select("var", "coder", F.round("mean_cr", 6).alias("mean_cr"), F.round("last_cr", 6).alias("last_cr"), "steps")
 
 
 @query("w_exact_ratio", "SELECT var, count(*) AS steps, CAST(sum(n_exact) AS BIGINT) AS n_exact, round(avg(n_exact / n), 9) AS mean_exact_ratio FROM (" + each(ALL, lambda n: ctes(n, elem_bytes=ELEM_BYTES[n]) + "SELECT var, step, n, n_exact FROM p") + ") GROUP BY var")
@@ -505,6 +568,16 @@ def w_cr_fixed_bits(spark, sf):
     return auto.unionByName(breakdown(spark, sf, ("customer_balance",), bits=4).select(*STEP, F.lit("fixed").alias("run"), "bits", F.round("cr", 6).alias("cr")))
 
 
+@query("w_cr_group_bits")
+def w_cr_group_bits(spark, sf):
+    """The ratio of each step when every run of positions chooses its own length, and the range of lengths chosen."""
+    c = compressed_of(spark, sf, "customer_balance", bits_scope="group", group_points=GROUP_POINTS)
+    sizes = cd.report(c).groupBy("step").agg(
+        F.min("bits").alias("least_bits"), F.max("bits").alias("most_bits"), F.count("*").alias("groups"), (F.sum(F.col("n") * F.col("elem_bytes")) / F.sum("stored_bytes")).alias("cr")
+    )
+    return sizes.withColumn("cr", F.round("cr", 6))
+
+
 SHARES = (20, 40, 60, 80, 100)
 
 
@@ -514,13 +587,21 @@ def segments(n: int):
 
 @query("w_partial_decode")
 def w_partial_decode(spark, sf):
-    """Decoded points and blocks touched for growing shares of a step from a random start."""
-    c = compressed_of(spark, sf, "drift_field", block_bytes=SMALL_BLOCK)
-    n, width = c.header.where("step = 1").select("n", "indices_per_block").first()
+    """Decoded points and blocks read for growing shares of the last step from a random start.
+
+    drift_field and part_volume have small blocks; customer_balance has a single one a step, which every share reads.
+    """
     out = []
-    for share, a, b in segments(n):
-        first, last = dc.block_range(a, b, width)
-        out.append(cd.decompress_range(c, "drift_field", 1, a, b).agg(F.lit(share).alias("share"), F.count("*").alias("points"), F.lit(last - first + 1).alias("blocks")))
+    for name, kw in (("drift_field", {"block_bytes": SMALL_BLOCK}), ("part_volume", {"block_bytes": SMALL_BLOCK // 16}), ("customer_balance", {})):
+        c = compressed_of(spark, sf, name, **kw)
+        step, n, width = c.header.orderBy(F.desc("step")).select("step", "n", "indices_per_block").first()
+        hat = None
+        for share, a, b in segments(n):
+            one = cd.decompress_range(c, name, step, a, b).agg(F.count("*").alias("points"))
+            blocks = dc.blocks_for_range(c.blocks.where(F.col("var") == name), step, a, b, width).agg(F.count("*").alias("blocks"))
+            row = one.crossJoin(F.broadcast(blocks)).select(F.lit(name).alias("var"), F.lit(step).alias("step"), F.lit(share).alias("share"), "points", "blocks")  # one row each
+            hat = row if hat is None else hat.unionByName(row)
+        out.append(hat)
     return union(out)
 
 
@@ -532,13 +613,28 @@ def w_partial_blocks(spark, sf):
     return grid.select("bits", "share", F.ceil(F.lit(3758400) * F.col("share") / 100.0 / width).alias("blocks"), F.ceil(F.lit(3758400) / width).alias("all_blocks"))
 
 
-def coverage_table(spark, sf, series, bits, steps=None, pool=False, strategies=("optimal", "topk", "kmeans", "log", "equal")):
-    return union([covered(spark, sf, series, s, b, steps, pool, True).select(F.lit(s).alias("strategy"), F.lit(b).alias("bits"), *STEP, "n", "covered") for b in bits for s in strategies])
+def coverage_table(spark, sf, series, bits, pool=False):
+    """Points covered by each strategy at each length, points of ratios below E left out.
+
+    One table of the optimum holds all lengths, and one ranking of the bins all of top-k's.
+    """
+    ratios = ratios_of(spark, sf, series).where(F.abs("ratio") > E)
+    ratios = saved(ratios.withColumn("step", F.lit(0)) if pool else ratios, "large-ratios")
+    length = F.round(F.log2(F.col("k") + 1)).cast("int").alias("bits")
+    best = optimal_covers(ratios, tuple((1 << b) - 1 for b in bits), 2 * E).select(F.lit("optimal").alias("strategy"), length, *STEP, "n", "covered")
+    ranked = bn.rank_bins(bn.ratio_histogram(bn.with_bins(ratios, E)), (1 << max(bits)) - 1)
+    top = bn.size_by_bits(ranked, ratio_range(ratios), ELEM_BYTES[series], bits).select(F.lit("topk").alias("strategy"), "bits", *STEP, "n", "covered")
+    out = [best, top]
+    for b in bits:
+        for s in ("kmeans", "log", "equal"):
+            near = bn.covered_by(ratios, s, b, E).groupBy(*STEP).agg(F.count("*").alias("n"), F.count(F.when(F.col("covered"), 1)).alias("covered"))
+            out.append(near.select(F.lit(s).alias("strategy"), F.lit(b).alias("bits"), *STEP, "n", "covered"))
+    return union(out)
 
 
 @query("w_coverage_customer_balance")
 def w_coverage_customer_balance(spark, sf):
-    return coverage_table(spark, sf, "customer_balance", (4, 8), (78,))
+    return coverage_table(spark, sf, "customer_balance", (4, 8))
 
 
 @query("w_coverage_supplier_month")
@@ -548,51 +644,76 @@ def w_coverage_supplier_month(spark, sf):
 
 @query("w_coverage_part_volume")
 def w_coverage_part_volume(spark, sf):
-    return coverage_table(spark, sf, "part_volume", (4, 6, 8), (14, 26))
+    return coverage_table(spark, sf, "part_volume", (4, 6, 8, 14))
 
 
 @query("w_coverage_embedding")
 def w_coverage_embedding(spark, sf):
-    return coverage_table(spark, sf, "embedding_field", (8,), (1,))
+    return coverage_table(spark, sf, "embedding_field", (8,))
+
+
+@query("w_coverage_topk", each(("part_volume", "customer_balance"), lambda n: ctes(n, where=f"abs(ratio) > {double(E)}") + "SELECT var, step, bits, n, covered FROM z WHERE bits IN (4, 8, 14)"))
+def w_coverage_topk(spark, sf):
+    """What top-k covers at the lengths of the coverage experiments, all steps."""
+    out = []
+    for n in ("part_volume", "customer_balance"):
+        ratios = ratios_of(spark, sf, n).where(F.abs("ratio") > E)
+        ranked = bn.rank_bins(bn.ratio_histogram(bn.with_bins(ratios, E)), (1 << 14) - 1)
+        out.append(bn.size_by_bits(ranked, ratio_range(ratios), 8, (4, 8, 14)).select(*STEP, "bits", "n", "covered"))
+    return union(out)
+
 
+#: Lengths swept on each series: the first list on those like the climate and weather sets, the second on those like the blast sets.
+SWEEPS = {
+    "part_volume": (8, 10, 12, 13, 14, 15, 16), "embedding_field": (8, 10, 12, 13, 14, 15, 16),
+    "customer_balance": (2, 3, 4, 6, 8, 10, 12), "user_activity": (2, 3, 4, 6, 8, 10, 12),
+}
 
-@query("w_bits_sweep_size", each(COMPARED, lambda n: ctes(n) + f"SELECT {SIZE_COLUMNS} FROM z WHERE step IN {LATE[n]}"))
+
+@query("w_bits_sweep_size", each(SWEEPS, lambda n: ctes(n, elem_bytes=ELEM_BYTES[n]) + f"SELECT {SIZE_COLUMNS} FROM z"))
 def w_bits_sweep_size(spark, sf):
-    return union([sizes_of(spark, sf, n)[0].where(F.col("step").isin(*LATE[n])).select(*SIZE_COLUMNS.split(", ")) for n in COMPARED])
+    return union([sizes_of(spark, sf, n)[0].select(*SIZE_COLUMNS.split(", ")) for n in SWEEPS])
 
 
-SWEEPS = {"part_volume": (8, 10, 12, 13, 14, 15, 16), "customer_balance": (2, 3, 4, 6, 8, 10, 12)}
+def sweep(spark, sf, name):
+    """Stored sizes of all lengths and steps of a series; kept for the queries that read it."""
+    return once(spark, ("sweep", sf, name), lambda: cd.bits_sweep(ratios_of(spark, sf, name), CodecSpec(error_bound=E, elem_bytes=ELEM_BYTES[name]), range(1, 17)))
 
 
-def sweep(spark, sf):
-    return saved(union([cd.bits_sweep(ratios_of(spark, sf, n, LATE[n]), CodecSpec(error_bound=E), SWEEPS[n]) for n in COMPARED]), "sweep")
+def swept(spark, sf):
+    return union([sweep(spark, sf, n).where(F.col("bits").isin(*lengths)) for n, lengths in SWEEPS.items()])
 
 
 @query("w_bits_sweep_actual")
 def w_bits_sweep_actual(spark, sf):
-    return sweep(spark, sf).select(*STEP, "bits", "est_bytes", "stored_bytes", F.round("cr", 6).alias("cr"))
+    return swept(spark, sf).select(*STEP, "bits", "est_bytes", "stored_bytes", F.round("cr", 6).alias("cr"))
+
+
+@query("w_cr_by_bits")
+def w_cr_by_bits(spark, sf):
+    """Mean ratio over all steps for each hand-set length, and for the length chosen by the estimate (bits 0)."""
+    fixed = swept(spark, sf).groupBy("var", "bits").agg(F.avg("cr").alias("mean_cr"))
+    auto = union([sweep(spark, sf, n) for n in SWEEPS]).groupBy(*STEP).agg(F.min(F.struct("est_bytes", "bits", "cr")).alias("p"))
+    return fixed.unionByName(auto.groupBy("var").agg(F.avg("p.cr").alias("mean_cr")).withColumn("bits", F.lit(0))).withColumn("mean_cr", F.round("mean_cr", 6))
 
 
 @query("w_zlib_by_bits")
 def w_zlib_by_bits(spark, sf):
-    return sweep(spark, sf).groupBy("var").pivot("bits", sorted({b for v in SWEEPS.values() for b in v})).agg(F.round(F.avg("zlib_ratio"), 6))
+    return swept(spark, sf).groupBy("var").pivot("bits", sorted({b for v in SWEEPS.values() for b in v})).agg(F.round(F.avg("zlib_ratio"), 6))
 
 
 @query("w_bits_regret")
 def w_bits_regret(spark, sf):
-    """Stored size at the length chosen by estimate, over the least stored size."""
-    out = []
-    for n in COMPARED:
-        ratios = ratios_of(spark, sf, n, LATE[n])
-        auto = saved(cd.index_ratios(ratios, CodecSpec(error_bound=E)).bits.select(*STEP, F.col("bits").alias("auto_bits")), "auto")
-        rows = cd.bits_sweep(ratios, CodecSpec(error_bound=E), (1, 2, 4, 6, 7, 8, 9, 10)).join(auto, STEP)
-        out.append(ms.bits_regret(rows.withColumn("auto", F.col("bits") == F.col("auto_bits")).select(*STEP, "bits", "stored_bytes", "auto")))
-    return union(out).withColumn("regret", F.round("regret", 6))
+    """Stored size at the length chosen by estimate, over the least stored size of lengths 1 to 16."""
+    rows = union([sweep(spark, sf, n) for n in SWEEPS])
+    auto = rows.groupBy(*STEP).agg(F.min(F.struct("est_bytes", "bits"))["bits"].alias("auto_bits"))
+    marked = rows.join(auto, STEP).withColumn("auto", F.col("bits") == F.col("auto_bits"))
+    return ms.bits_regret(marked.select(*STEP, "bits", "stored_bytes", "auto")).withColumn("regret", F.round("regret", 6))
 
 
 @query("w_small_change_share", each(ALL, lambda n: ctes(n) + f"SELECT var, step, count(*) AS n, count(*) FILTER (abs(ratio) <= {double(E)}) AS n_small, round(count(*) FILTER (abs(ratio) <= {double(E)}) / count(*), 9) AS share FROM r GROUP BY ALL"))
 def w_small_change_share(spark, sf):
-    rows = union([change_ratios(load_series(spark, sf, n)).select(*STEP, "ratio") for n in ALL])
+    rows = union([ratios_of(spark, sf, n).select(*STEP, "ratio") for n in ALL])
     return rows.groupBy(*STEP).agg(F.count("*").alias("n"), F.count(F.when(F.abs("ratio") <= E, 1)).alias("n_small"), F.round(F.count(F.when(F.abs("ratio") <= E, 1)) / F.count("*"), 9).alias("share"))
 
 
@@ -601,6 +722,26 @@ def w_every_fifth(spark, sf):
     return ratio_range(change_ratios(every_nth(load_series(spark, sf, "customer_balance"), 5))).select(*STEP, "n", "lo", "hi")
 
 
+EVERY_FIFTH = f"SELECT var, CAST(step // 5 AS INTEGER) AS step, pos, value FROM ({SERIES_SQL['customer_balance']}) WHERE step % 5 = 0"
+
+
+def fifth_of(spark, sf):
+    return once(spark, ("every-fifth", sf), lambda: every_nth(load_series(spark, sf, "customer_balance"), 5))
+
+
+@query("w_every_fifth_bits", ctes(EVERY_FIFTH) + f"SELECT {SIZE_COLUMNS} FROM p")
+def w_every_fifth_bits(spark, sf):
+    """Lengths chosen when only every fifth step is kept."""
+    return cd.index_ratios(change_ratios(fifth_of(spark, sf)), CodecSpec(error_bound=E)).bits.select(*SIZE_COLUMNS.split(", "))
+
+
+@query("w_every_fifth_cr")
+def w_every_fifth_cr(spark, sf):
+    """Every fifth step compressed."""
+    c = cd.compress_series(fifth_of(spark, sf), CodecSpec(error_bound=E))
+    return cd.report(c).select(*STEP, "n", "bits", F.round("cr", 6).alias("cr"), F.round("zlib_ratio", 6).alias("zlib_ratio"))
+
+
 @query("w_dp_memory", "SELECT CAST(n AS BIGINT) AS n, CAST(bits AS INTEGER) AS bits, n * pow(2.0, bits) * 4 AS bytes FROM (SELECT unnest([1000, 1000000, 250000000]) AS n), (SELECT unnest([4, 8, 10, 14]) AS bits)")
 def w_dp_memory(spark, sf):
     grid = spark.createDataFrame([(n, b) for n in (1000, 1000000, 250000000) for b in (4, 8, 10, 14)], "n long, bits int")
@@ -618,9 +759,10 @@ def w_speedup(spark, sf):
 # --- operators around the methods
 
 
-@query("o_densify", f"SELECT step, pos, value FROM ({SERIES_SQL['user_activity']}) WHERE pos < 100")
+@query("o_densify", f"SELECT step, pos, value FROM ({SERIES_SQL['user_activity']})")
 def o_densify(spark, sf):
-    return rl.slice_series(load_series(spark, sf, "user_activity"), stop=100).select("step", "pos", "value")
+    """Running sums carried to every day, built anew."""
+    return BUILDERS["user_activity"](spark, sf).select("step", "pos", "value")
 
 
 @query("o_densify_all", f"SELECT step, pos, value FROM ({SERIES_SQL['user_activity']})")
@@ -640,7 +782,7 @@ def o_as_of_steps(spark, sf):
 
 @query("o_common_points", f"WITH s AS ({SERIES_SQL['turn_lengths']}) SELECT var, step, pos, value FROM s WHERE step = 3 AND pos IN (SELECT pos FROM s WHERE step = 5)")
 def o_common_points(spark, sf):
-    series = saved(load_series(spark, sf, "turn_lengths"), "series")
+    series = load_series(spark, sf, "turn_lengths")
     return rl.common_points(rl.slice_series(series, step=3), rl.slice_series(series, step=5))
 
 
@@ -696,7 +838,7 @@ def o_interval_join(spark, sf):
 def o_sql_functions(spark, sf):
     """Ratios and bins through SQL functions."""
     sql_functions.register(spark)
-    saved(load_series(spark, sf, "part_volume"), "series").createOrReplaceTempView("ratiobin_series")
+    load_series(spark, sf, "part_volume").createOrReplaceTempView("ratiobin_series")
     return spark.sql(f"""WITH r AS (SELECT c.var, c.step, c.pos, ratio_change(p.value, c.value) AS ratio FROM ratiobin_series c JOIN ratiobin_series p ON p.pos = c.pos AND p.step = 13 WHERE c.step = 14),
       g AS (SELECT min(ratio) AS lo FROM r) SELECT var, step, pos, ratio, grid_bin(ratio, lo, {E}D) AS bin FROM r CROSS JOIN g""")
 
@@ -718,9 +860,23 @@ def o_json_filter(spark, sf):
 
 @query("o_approx_top_k")
 def o_approx_top_k(spark, sf):
-    """Fullest bins by a sketch instead of a full histogram."""
-    binned_of(spark, sf, "part_volume", steps=(14,)).createOrReplaceTempView("ratiobin_binned")
-    return spark.sql("SELECT t.item AS bin, t.count AS cnt FROM (SELECT explode(approx_top_k(bin, 15)) AS t FROM ratiobin_binned)")
+    """Fullest bins of each step by a sketch instead of a full histogram."""
+    binned_of(spark, sf, "part_volume").createOrReplaceTempView("ratiobin_binned")
+    return spark.sql("SELECT var, step, t.item AS bin, t.count AS cnt FROM (SELECT var, step, explode(approx_top_k(bin, 15)) AS t FROM ratiobin_binned GROUP BY var, step)")
+
+
+@query("o_sketches")
+def o_sketches(spark, sf):
+    """Occupied bins and the median ratio of each step by mergeable sketches."""
+    binned_of(spark, sf, "embedding_field").createOrReplaceTempView("ratiobin_sketched")
+    return spark.sql("""SELECT var, step, hll_sketch_estimate(hll_sketch_agg(bin, 14)) AS occupied, kll_sketch_get_quantile_double(kll_sketch_agg_double(ratio, 400), 0.5D) AS median
+      FROM ratiobin_sketched WHERE bin IS NOT NULL GROUP BY var, step""")
+
+
+@query("o_grouping_sets", "SELECT var, step, count(*) AS n, count(*) FILTER (ratio IS NULL) AS undefined FROM (" + each(("part_volume", "user_activity"), lambda n: ctes(n) + "SELECT var, step, ratio FROM r") + ") GROUP BY GROUPING SETS ((var, step), (var), ())")
+def o_grouping_sets(spark, sf):
+    union([ratios_of(spark, sf, n).select(*STEP, "ratio") for n in ("part_volume", "user_activity")]).createOrReplaceTempView("ratiobin_ratios")
+    return spark.sql("SELECT var, step, count(*) AS n, count_if(ratio IS NULL) AS undefined FROM ratiobin_ratios GROUP BY GROUPING SETS ((var, step), (var), ())")
 
 
 @query("o_quantiles", ctes("embedding_field") + "SELECT var, step, quantile_disc(ratio, 0.5) AS median FROM r WHERE ratio IS NOT NULL GROUP BY ALL")
@@ -758,10 +914,10 @@ def s_session_steps(spark, sf):
 def s_compress_stream(spark, sf):
     """Steps that arrive as files are compressed one by one and decode to the batch answer."""
     source, out = new_path(spark, "stream-source"), new_path(spark, "stream-codec")
-    series = saved(load_series(spark, sf, "price_states"), "series")
+    series = load_series(spark, sf, "price_states")
     for step in range(3):
         series.where(F.col("step") == step).coalesce(1).write.mode("append").parquet(source)
-    stream = spark.readStream.schema(series.schema).option("maxFilesPerTrigger", 3).parquet(source)
+    stream = spark.readStream.schema(series.schema).option("maxFilesPerTrigger", 1).parquet(source)
     return st.compress_stream(stream, out, CodecSpec(error_bound=E, reference="original"))
 
 
@@ -782,7 +938,7 @@ def m_choose_bits_chunked(spark, sf):
 @query("m_decode_chunked", decoded("drift_field") + HAT)
 def m_decode_chunked(spark, sf):
     """Blocks cut along chunks decode to the same values as blocks of points."""
-    series = saved(load_series(spark, sf, "drift_field"), "series")
+    series = load_series(spark, sf, "drift_field")
     c = ck.compress_chunks(ck.to_chunks(series, 8192), size=8192)
     return dc.decompress_chain(dc.decode_blocks(c.blocks, c.header, c.centres), series.where("step = 0"))
 
@@ -808,8 +964,8 @@ def s_daily_unique(spark, sf):
 @query("s_frozen_centres")
 def s_frozen_centres(spark, sf):
     """Chunks coded as they arrive, with the centres of step 1: points, exact values and bytes of each step."""
-    series = saved(load_series(spark, sf, "drift_field"), "series")
-    centres = [r["centre"] for r in cd.index_ratios(saved(change_ratios(series).where("step = 1"), "ratios"), CodecSpec(error_bound=E)).centres.collect()]  # 65535 at most
+    series = load_series(spark, sf, "drift_field")
+    centres = [r["centre"] for r in cd.index_ratios(ratios_of(spark, sf, "drift_field", (1,)), CodecSpec(error_bound=E)).centres.collect()]  # 65535 at most
     source = new_path(spark, "stream-chunks")
     chunks = ck.to_chunks(series, 8192)
     chunks.write.parquet(source)

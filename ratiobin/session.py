@@ -57,6 +57,26 @@ def saved(df: DataFrame, tag: str = "step", plain: bool = False) -> DataFrame:
     return kept
 
 
+_once: dict[tuple, tuple] = {}
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    fs, where = hadoop_path(spark, path)
+    return fs.exists(where)
+
+
+def once(spark: SparkSession, key: tuple, build) -> DataFrame:
+    """The saved result of build(), made once for each key in an application and read again afterwards."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _once or not exists(spark, f"{_once[key][0]}/_SUCCESS"):
+        made = saved(build(), str(key[1]))
+        _once[key] = made._ratiobin_path, made.schema
+    path, schema = _once[key]
+    kept = spark.read.schema(schema).parquet(path)
+    kept._ratiobin_path = path
+    return kept
+
+
 def is_saved(df: DataFrame) -> bool:
     return hasattr(df, "_ratiobin_path")
 

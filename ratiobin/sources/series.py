@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ratiobin.operators.relational import cents, dense_positions, densify, month_index
-from ratiobin.session import small_side
+from ratiobin.session import once, small_side
 from ratiobin.sources.tables import load_table
 
 LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]
@@ -107,7 +107,8 @@ ELEM_BYTES = {name: 4 if name == "embedding_field" else 8 for name in BUILDERS}
 
 
 def load_series(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return BUILDERS[name](spark, sf_dir)
+    """A series, written to the shared folder when it is first asked for and read from there afterwards."""
+    return once(spark, ("series", sf_dir, name), lambda: BUILDERS[name](spark, sf_dir))
 
 
 _LINE = "SELECT *, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate) - 1 AS pos FROM lineitem"
