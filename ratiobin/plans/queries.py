@@ -900,6 +900,15 @@ def s_daily_steps(spark, sf):
     return st.run_to_end(st.tumbling(st.stream_events(spark, sf), watermark=None), "daily").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "cents")
 
 
+CLOSED = "date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY"
+
+
+@query("s_daily_closed", f"SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, count(*) AS n, {CENTS} FROM events WHERE {CLOSED} GROUP BY ALL")
+def s_daily_closed(spark, sf):
+    """Daily steps that a watermark of one day behind the latest event has closed."""
+    return st.run_to_end(st.tumbling(st.stream_events(spark, sf)), "closed", "append").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "cents")
+
+
 @query("s_sliding_steps", f"SELECT CAST(time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '2024-01-01 00:00:00') - k * INTERVAL 6 HOUR AS TIMESTAMP) AS start, event_type, count(*) AS n, {CENTS} FROM events, (SELECT unnest(range(0, 4)) AS k) GROUP BY ALL")
 def s_sliding_steps(spark, sf):
     return st.run_to_end(st.sliding(st.stream_events(spark, sf), watermark=None), "sliding").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", "cents")

@@ -1,6 +1,7 @@
 """Steps from event streams, and compression step by step as they close.
 
-Windows of event time are steps.  A watermark closes a window; events that come later are set aside, not dropped.
+Windows of event time are steps.  A watermark closes a window: append output returns closed windows only, and events of a
+closed window that come later no longer change it.  The compressor sets the late rows of closed steps aside.
 """
 
 from __future__ import annotations

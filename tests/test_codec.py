@@ -297,3 +297,16 @@ def test_stream_replay_and_late_rows(spark, tmp_path):
     assert len(out) == 6 and out[2, 1] == pytest.approx(2.3, rel=0.003) and out[1, 0] == pytest.approx(1.1, rel=0.002)
     target(spark.createDataFrame([("x", 1, 0, 9.0)], SERIES), 2)
     assert spark.read.parquet(f"{tmp_path}/s/late").where("value = 9.0").count() >= 1
+
+
+def test_closed_windows_keep_their_sums(spark, tmp_path):
+    from ratiobin.streaming import steps
+
+    schema = "event_id long, ts timestamp, user_id long, event_type string, value double"
+    # each batch closes windows by the watermark of the batch before: day 1 closes in the second, so the third brings it late
+    for k, days in enumerate(([1, 1, 5], [9], [1], [20])):
+        rows = spark.createDataFrame([(10 * k + i, f"2024-01-{d:02d} 08:00:00", 1, "a", 1.5) for i, d in enumerate(days)], schema.replace("timestamp", "string"))
+        rows.withColumn("ts", rows.ts.cast("timestamp")).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    out = steps.run_to_end(steps.tumbling(stream), "late", "append").collect()
+    assert sorted((r["start"].day, r["n"], r["cents"]) for r in out) == [(1, 2, 300), (5, 1, 150), (9, 1, 150)]
