@@ -90,10 +90,11 @@ def test_crowded_shards_lose_no_link(spark):
     assert sets(10_000) == sets(2) == sorted(want)
 
 
-def test_components_of_a_long_path(spark):
+@pytest.mark.parametrize("broadcast_edges", [500_000, 0])
+def test_components_of_a_long_path(spark, broadcast_edges):
     n = 300
     edges = spark.createDataFrame([(i, i + 1) for i in range(n)] + [(1000, 1001), (5000, 5000)], "src long, dst long")
-    found = {r["node"]: r["component"] for r in connected_components(edges).collect()}
+    found = {r["node"]: r["component"] for r in connected_components(edges, broadcast_edges).collect()}
     assert found == {**dict.fromkeys(range(n + 1), 0), 1000: 1000, 1001: 1000}
 
 
@@ -574,6 +575,7 @@ def test_near_copies_of_a_hub_and_of_one_tight_group(spark, monkeypatch):
     assert [got[i]["n_links"] for i in range(len(x))] == brute(x).tolist()
     star = spark.createDataFrame([(5000, i) for i in range(2000)] + [(1, 9000 + i) for i in range(2000)], "src long, dst long")
     assert {r["component"] for r in connected_components(star).collect()} == {0}
+    assert sorted(connected_components(star, 0).collect()) == sorted(connected_components(star).collect())
 
 
 def test_clashing_column_names_of_vectors_and_captures(spark):
