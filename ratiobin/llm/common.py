@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import gc
 import uuid
+from collections.abc import Iterable
 
 from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -30,12 +32,8 @@ def shared_dir(spark: SparkSession) -> str:
     return FALLBACK_DIR
 
 
-def saved(df: DataFrame, tag: str = "step") -> DataFrame:
-    """Write a DataFrame as Parquet to the shared folder and read it back: cuts lineage and survives lost executors.
-
-    The application's files are removed when the driver's JVM ends.
-    """
-    spark = df.sparkSession
+def new_path(spark: SparkSession, tag: str) -> str:
+    """A fresh folder for this application's files; all of them are removed when the driver's JVM ends."""
     folder = f"{shared_dir(spark)}/ratiobin/{spark.sparkContext.applicationId}"
     if folder not in _cleaned:
         where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
@@ -43,9 +41,32 @@ def saved(df: DataFrame, tag: str = "step") -> DataFrame:
         fs.mkdirs(where)
         fs.deleteOnExit(where)
         _cleaned.add(folder)
-    path = f"{folder}/{tag}-{uuid.uuid4().hex}"
+    return f"{folder}/{tag}-{uuid.uuid4().hex}"
+
+
+def saved(df: DataFrame, tag: str = "step") -> DataFrame:
+    """Write a DataFrame as Parquet to the shared folder and read it back: cuts lineage and survives lost executors."""
+    path = new_path(df.sparkSession, tag)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def saved_parts(spark: SparkSession, frames: Iterable[DataFrame], tag: str, schema) -> DataFrame:
+    """saved() of DataFrames that are made, written and freed of their shuffle files one after the other."""
+    path, i = new_path(spark, tag), -1
+    for i, df in enumerate(frames):
+        if i:
+            drop_shuffles(spark)
+        df.write.mode("append").parquet(path)
+    if i < 0:
+        spark.createDataFrame([], schema).write.parquet(path)
+    return spark.read.schema(schema).parquet(path)
+
+
+def drop_shuffles(spark: SparkSession) -> None:
+    """Let Spark remove the shuffle files of plans that have ended: its cleaner waits for the driver's collector."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def placed(rows: DataFrame, file: str, row: str) -> DataFrame:

@@ -4,6 +4,7 @@ import hashlib
 import math
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -415,6 +416,33 @@ def test_cross_links_in_small_blocks_equal_brute_force(spark):
     assert got <= pairs and sorted(connected_components(joins).collect()) == sorted(connected_components(whole).collect())
 
 
+def test_comparing_blocks_shuffles_no_pairs_of_them(spark, monkeypatch):
+    rng = np.random.default_rng(14)
+    x = around(rng, np.zeros(64), 1500, 1.0)
+    x[1::5] = around(rng, np.zeros(64), 300, 1.0) * 0.3 + x[::5]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    rows = spark.createDataFrame([(i, i, 1, v.tobytes()) for i, v in enumerate(x)], "node long, component long, weight long, unit binary")
+    folders = [d.getPath() for d in spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirs()]
+    written = lambda: sum(f.stat().st_size for d in folders for f in Path(d).rglob("shuffle_*"))
+    monkeypatch.setattr(nn_descent, "HELD_BYTES", 300_000, raising=False)
+    before = written()
+    degrees, _ = nn_descent.cross_links(rows, 0.9, rows=32)
+    assert {r["node"]: r["others"] for r in degrees.collect()} == {i: n for i, n in enumerate(brute(x).tolist()) if n}
+    assert written() - before < 4 * x.nbytes
+
+
+def test_vectors_of_floats_are_kept_as_floats_and_decided_in_doubles(spark):
+    rng = np.random.default_rng(15)
+    x = around(rng, np.zeros(32), 300, 1.0).astype(np.float32)
+    x[100:200] = 7 * (x[:100] + rng.normal(scale=0.06, size=(100, 32)))
+    x[200:] = 4 * x[:100]
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    assert nn_descent.stored_form(rows) == "<f4" and {len(r["unit"]) for r in nn_descent.classes_of(rows, "<f4").collect()} == {128}
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    got = {r["vec_id"]: r["n_links"] for r in nn_descent.near_vectors(rows).collect()}
+    assert [got[i] for i in range(300)] == brute(unit).tolist()
+
+
 def test_cells_part_vectors_with_a_common_direction(spark):
     rng = np.random.default_rng(10)
     x = around(rng, np.full(64, 0.5), 6000, 0.2)
