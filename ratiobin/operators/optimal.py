@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -79,18 +80,86 @@ def optimal_cover(ratios: DataFrame, k: int, width: float, most_cells: int = MOS
     return values.groupBy(*STEP).applyInPandas(run, "var string, step int, n long, covered long")
 
 
-def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float, most_cells: int = MOST_CELLS) -> DataFrame:
-    """(var, step, k, n, covered) for several numbers of windows: one table holds the optimum of each number up to the largest."""
-    values = _values(ratios, max(ks), most_cells)
+def relaxed(values: np.ndarray, weights: np.ndarray, width: float, prices: np.ndarray) -> np.ndarray:
+    """For each price of a window, the most that weight covered less prices paid can be, for any number of windows.
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("ratio")
-        w = frame["w"].to_numpy()
-        row, _, _ = _table(frame["ratio"].to_numpy(), w, max(ks), width)
-        covered = [int(row[min(k, len(row) - 1)]) for k in ks]
-        return pd.DataFrame({"var": frame["var"].iloc[0], "step": frame["step"].iloc[0], "k": list(ks), "n": int(w.sum()), "covered": covered})
+    Values are ascending.  They are taken from the largest down, in runs within one width of each other: what a window of such
+    a run leaves over lies beyond the run, so a run is a running maximum and takes no loop over its values.
+    """
+    n = len(values)
+    beyond = np.searchsorted(values, values + width, side="right")
+    mass = np.concatenate(([0], np.cumsum(weights.astype(np.int64))))
+    held = np.zeros((n + 1, len(prices)), dtype=np.int64)
+    end = n
+    while end:
+        # the first value whose window reaches the run's last
+        start = int(np.searchsorted(beyond[:end], end, side="left"))
+        rows = held[beyond[start:end]] + (mass[beyond[start:end]] - mass[start:end])[:, None] - prices
+        rows[-1] = np.maximum(rows[-1], held[end])
+        held[start:end] = np.maximum.accumulate(rows[::-1], axis=0)[::-1]
+        end = start
+    return held[0]
+
+
+def most_covered(values: np.ndarray, weights: np.ndarray, ks: tuple[int, ...], width: float) -> list[int]:
+    """Weight of the best cover by k closed windows for each k, as cover() gives it, in memory that doesn't grow with k.
+
+    The optimum is concave in k (the windows are intervals, so the linear programme has whole solutions), hence it is the least
+    of relaxed(price) + k * price over whole prices; that is convex in the price and its least is found by bisection.
+    """
+    if not len(values):
+        return [0 for _ in ks]
+    known: dict[int, int] = {}
+
+    def at(prices: list[int]) -> None:
+        new = np.array(sorted({p for p in prices if p not in known}), dtype=np.int64)
+        if len(new):
+            known.update(zip(new.tolist(), relaxed(values, weights, width, new).tolist(), strict=True))
+
+    mass = np.concatenate(([0], np.cumsum(weights.astype(np.int64))))
+    top = int((mass[np.searchsorted(values, values + width, side="right")] - mass[:-1]).max())  # no window is worth more
+    low, high = [0 for _ in ks], [top for _ in ks]
+    while any(a < b for a, b in zip(low, high, strict=True)):
+        middle = [(a + b) // 2 for a, b in zip(low, high, strict=True)]
+        at([p for m in middle for p in (m, m + 1)])
+        for i, (k, m) in enumerate(zip(ks, middle, strict=True)):
+            if low[i] < high[i]:
+                if known[m + 1] + k * (m + 1) < known[m] + k * m:
+                    low[i] = m + 1
+                else:
+                    high[i] = m
+    at(low)
+    return [known[p] + k * p for p, k in zip(low, ks, strict=True)]
+
+
+def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float) -> DataFrame:
+    """(var, step, k, n, covered) for several numbers of windows; a step's distinct ratios, 16 bytes each, meet in one task."""
+    values = ratios.where("ratio IS NOT NULL").groupBy(*STEP, "ratio").agg(F.count("*").alias("w"))
 
-    return values.groupBy(*STEP).applyInPandas(run, "var string, step int, k int, n long, covered long")
+    def run(batches):
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        key = None
+
+        def done():
+            x, w = (np.concatenate(c) for c in zip(*held, strict=True))
+            rows = [(*key, k, int(w.sum()), c) for k, c in zip(ks, most_covered(x, w, ks, width), strict=True)]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64()), strict=True)], ["var", "step", "k", "n", "covered"])
+
+        for batch in batches:
+            runs = pa.Table.from_batches([batch]).select(STEP).group_by(STEP, use_threads=False).aggregate([([], "count_all")]).to_pylist()
+            at = 0
+            for r in runs:
+                if key is not None and key != (r["var"], r["step"]):
+                    yield done()
+                    held = []
+                key = r["var"], r["step"]
+                part = batch.slice(at, r["count_all"])
+                held.append((part.column("ratio").to_numpy(), part.column("w").to_numpy()))
+                at += r["count_all"]
+        if held:
+            yield done()
+
+    return values.repartition(*STEP).sortWithinPartitions(*STEP, "ratio").mapInArrow(run, "var string, step int, k int, n long, covered long")
 
 
 def optimal_windows(ratios: DataFrame, k: int, width: float, most_cells: int = MOST_CELLS) -> DataFrame:

@@ -230,6 +230,22 @@ def test_no_strategy_beats_the_optimum(walk):
         optimal.optimal_cover(r, 1 << 14, 0.002, most_cells=1000)
 
 
+def test_covers_of_many_windows_need_no_table(spark):
+    rng = np.random.default_rng(21)
+    for trial in range(60):
+        n = int(rng.integers(1, 60))
+        x, w = np.unique(np.round(rng.normal(size=n) * rng.choice([1, 5, 30]), 1)), None
+        w = rng.integers(1, rng.choice([2, 50]), size=len(x))
+        ks = (1, 2, 3, 7, 20, 100)
+        assert optimal.most_covered(x, w, ks, 1.0) == [optimal.cover(x, w, k, 1.0)[0] for k in ks]
+    x = rng.normal(size=60_000)
+    rows = spark.createDataFrame([("v", s, float(r) if i else None) for s in (1, 2) for i, r in enumerate(x)], "var string, step int, ratio double")
+    got = {(r["step"], r["k"]): r for r in optimal.optimal_covers(rows, (15, 16383), 0.002).collect()}
+    y = np.sort(x[1:])
+    assert set(got) == {(1, 15), (1, 16383), (2, 15), (2, 16383)} and got[1, 15]["n"] == len(y) and got[2, 16383]["covered"] == len(y)
+    assert got[1, 15]["covered"] == optimal.cover(y, np.ones(len(y)), 15, 0.002)[0]
+
+
 @pytest.mark.parametrize("strategy", ["equal", "log", "kmeans", "optimal"])
 def test_other_strategies_decode_within_the_bound(walk, strategy):
     two = walk.where("step < 2")
