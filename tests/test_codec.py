@@ -246,6 +246,12 @@ def test_covers_of_many_windows_need_no_table(spark):
     assert got[1, 15]["covered"] == optimal.cover(y, np.ones(len(y)), 15, 0.002)[0]
 
 
+def test_cover_of_a_pooled_step_of_many_values(spark):
+    rows = spark.range(1_600_000).select(F.lit("v").alias("var"), F.lit(0).alias("step"), (F.col("id") * F.lit(1e-5)).alias("ratio"))
+    got = {r["k"]: r["covered"] for r in optimal.optimal_covers(rows, (15, 63, 255), 0.0020000001).collect()}
+    assert got == {k: 201 * k for k in (15, 63, 255)}
+
+
 @pytest.mark.parametrize("strategy", ["equal", "log", "kmeans", "optimal"])
 def test_other_strategies_decode_within_the_bound(walk, strategy):
     two = walk.where("step < 2")
