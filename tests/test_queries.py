@@ -55,3 +55,12 @@ def test_densify_all_returns_every_point(spark):
 def test_method_queries_take_every_step(spark, name, series):
     steps = {r["step"] for r in entry.core.change_ratios(entry.load_series(spark, SF, series)).where("ratio IS NOT NULL AND ratio <> 0").select("step").distinct().collect()}
     assert len(steps) > 2 and steps <= {r["step"] for r in entry.queries()[name](spark, SF).collect()}
+
+
+@pytest.mark.parametrize("name, table", [("c_predicted_cr", "part")])
+def test_queries_read_given_tables(spark, tmp_path, name, table):
+    for path in glob.glob(f"{SF}/*.parquet"):
+        os.symlink(path, tmp_path / os.path.basename(path))
+    os.unlink(tmp_path / f"{table}.parquet")
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        entry.queries()[name](spark, str(tmp_path)).collect()
