@@ -57,7 +57,7 @@ def test_method_queries_take_every_step(spark, name, series):
     assert len(steps) > 2 and steps <= {r["step"] for r in entry.queries()[name](spark, SF).collect()}
 
 
-@pytest.mark.parametrize("name, table", [("c_predicted_cr", "part"), ("o_size_estimate_rows", "part"), ("w_dp_memory", "customer"), ("w_partial_blocks", "part")])
+@pytest.mark.parametrize("name, table", [("c_predicted_cr", "part"), ("o_size_estimate_rows", "part"), ("w_dp_memory", "customer"), ("w_partial_blocks", "part"), ("w_speedup", "lineitem")])
 def test_queries_read_given_tables(spark, tmp_path, name, table):
     for path in glob.glob(f"{SF}/*.parquet"):
         os.symlink(path, tmp_path / os.path.basename(path))
