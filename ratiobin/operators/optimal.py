@@ -80,23 +80,22 @@ def optimal_cover(ratios: DataFrame, k: int, width: float, most_cells: int = MOS
     return values.groupBy(*STEP).applyInPandas(run, "var string, step int, n long, covered long")
 
 
-def relaxed(values: np.ndarray, weights: np.ndarray, width: float, prices: np.ndarray) -> np.ndarray:
+def relaxed(beyond: np.ndarray, mass: np.ndarray, prices: np.ndarray) -> np.ndarray:
     """For each price of a window, the most that weight covered less prices paid can be, for any number of windows.
 
-    Values are ascending.  They are taken from the largest down, in runs within one width of each other: what a window of such
-    a run leaves over lies beyond the run, so a run is a running maximum and takes no loop over its values.
+    beyond: how far a window from each ascending value reaches; mass: weight before each value and in all.  Values are taken
+    from the largest down, in runs within one width of each other: what a window of such a run leaves over lies beyond the
+    run, so a run is a running maximum and takes no loop over its values.  Only the suffixes are held that windows further
+    down still reach.
     """
-    n = len(values)
-    beyond = np.searchsorted(values, values + width, side="right")
-    mass = np.concatenate(([0], np.cumsum(weights.astype(np.int64))))
-    held = np.zeros((n + 1, len(prices)), dtype=np.int64)
-    end = n
+    held = np.zeros((1, len(prices)), dtype=np.int64)
+    end = len(beyond)
     while end:
         # the first value whose window reaches the run's last
         start = int(np.searchsorted(beyond[:end], end, side="left"))
-        rows = held[beyond[start:end]] + (mass[beyond[start:end]] - mass[start:end])[:, None] - prices
-        rows[-1] = np.maximum(rows[-1], held[end])
-        held[start:end] = np.maximum.accumulate(rows[::-1], axis=0)[::-1]
+        rows = held[beyond[start:end] - end] + (mass[beyond[start:end]] - mass[start:end])[:, None] - prices
+        rows[-1] = np.maximum(rows[-1], held[0])
+        held = np.concatenate((np.maximum.accumulate(rows[::-1], axis=0)[::-1], held[: beyond[start] - end + 1]))
         end = start
     return held[0]
 
@@ -110,14 +109,15 @@ def most_covered(values: np.ndarray, weights: np.ndarray, ks: tuple[int, ...], w
     if not len(values):
         return [0 for _ in ks]
     known: dict[int, int] = {}
+    beyond = np.searchsorted(values, values + width, side="right")
+    mass = np.concatenate(([0], np.cumsum(weights, dtype=np.int64)))
 
     def at(prices: list[int]) -> None:
         new = np.array(sorted({p for p in prices if p not in known}), dtype=np.int64)
         if len(new):
-            known.update(zip(new.tolist(), relaxed(values, weights, width, new).tolist(), strict=True))
+            known.update(zip(new.tolist(), relaxed(beyond, mass, new).tolist(), strict=True))
 
-    mass = np.concatenate(([0], np.cumsum(weights.astype(np.int64))))
-    top = int((mass[np.searchsorted(values, values + width, side="right")] - mass[:-1]).max())  # no window is worth more
+    top = int((mass[beyond] - mass[:-1]).max())  # no window is worth more
     low, high = [0 for _ in ks], [top for _ in ks]
     while any(a < b for a, b in zip(low, high, strict=True)):
         middle = [(a + b) // 2 for a, b in zip(low, high, strict=True)]
@@ -133,7 +133,7 @@ def most_covered(values: np.ndarray, weights: np.ndarray, ks: tuple[int, ...], w
 
 
 def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float) -> DataFrame:
-    """(var, step, k, n, covered) for several numbers of windows; a step's distinct ratios, 16 bytes each, meet in one task."""
+    """(var, step, k, n, covered) for several numbers of windows; a step's distinct ratios, 32 bytes each, meet in one task."""
     values = ratios.where("ratio IS NOT NULL").groupBy(*STEP, "ratio").agg(F.count("*").alias("w"))
 
     def run(batches):
@@ -142,6 +142,7 @@ def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float) -> Data
 
         def done():
             x, w = (np.concatenate(c) for c in zip(*held, strict=True))
+            held.clear()
             rows = [(*key, k, int(w.sum()), c) for k, c in zip(ks, most_covered(x, w, ks, width), strict=True)]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64()), strict=True)], ["var", "step", "k", "n", "covered"])
 
@@ -151,10 +152,9 @@ def optimal_covers(ratios: DataFrame, ks: tuple[int, ...], width: float) -> Data
             for r in runs:
                 if key is not None and key != (r["var"], r["step"]):
                     yield done()
-                    held = []
                 key = r["var"], r["step"]
                 part = batch.slice(at, r["count_all"])
-                held.append((part.column("ratio").to_numpy(), part.column("w").to_numpy()))
+                held.append((part.column("ratio").to_numpy().copy(), part.column("w").to_numpy().copy()))  # else the whole batch is held
                 at += r["count_all"]
         if held:
             yield done()

@@ -3,6 +3,7 @@
 import itertools
 import math
 import random
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -252,6 +253,18 @@ def test_cover_of_a_pooled_step_of_many_values(spark):
     assert got == {k: 201 * k for k in (15, 63, 255)}
 
 
+def test_cover_holds_no_row_of_prices_for_each_value():
+    rng = np.random.default_rng(22)
+    x = np.unique(rng.exponential(2, size=300_000))
+    w, ks = rng.integers(1, 100, size=len(x)), tuple(range(1, 8000, 200))
+    tracemalloc.start()
+    got = optimal.most_covered(x, w, ks, 0.002)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 80 * len(x)
+    assert got[:2] == [optimal.cover(x, w, k, 0.002)[0] for k in ks[:2]]
+
+
 @pytest.mark.parametrize("strategy", ["equal", "log", "kmeans", "optimal"])
 def test_other_strategies_decode_within_the_bound(walk, strategy):
     two = walk.where("step < 2")
